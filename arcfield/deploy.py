@@ -74,4 +74,4 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 def plan_bytes(df) -> int:
     """Catalyst's size estimate of a plan (for a file scan: bytes on storage)."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
