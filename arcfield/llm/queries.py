@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from arcfield.llm import curriculum, line_dedup, packing, quality_rules, simhash, token_store, toxicity
+from arcfield.llm import curriculum, line_dedup, packing, quality_rules, simhash, token_store, toxicity, vector_dedup
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -43,6 +43,10 @@ def op7_mixture_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.digest(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op8_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_dedup.dedup_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op10_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(table(spark, sf_dir, "documents"))
 
@@ -54,9 +58,11 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_token_store": op5_token_store,
     "op6_quality_rules": op6_quality_rules,
     "op7_mixture_packing": op7_mixture_packing,
+    "op8_vector_dedup": op8_vector_dedup,
     "op10_simhash_dedup": op10_simhash_dedup,
 }
 ORACLES: dict[str, str] = {
     "op3_curriculum_mix": curriculum.ORACLE,
     "op4_line_dedup": line_dedup.ORACLE,
+    "op8_vector_dedup": vector_dedup.ORACLE,
 }
