@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from arcfield.llm import curriculum, line_dedup, packing, quality_rules, simhash, token_store, toxicity, vector_dedup
+from arcfield.llm import curriculum, line_dedup, packing, quality_rules, simhash, substring_dedup, token_store, toxicity, vector_dedup
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -23,6 +23,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.digest(table(spark, sf_dir, "documents"))
+
+
 def op3_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curriculum.digest(table(spark, sf_dir, "documents"))
 
@@ -53,6 +57,7 @@ def op10_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
+    "op2_substring_dedup": op2_substring_dedup,
     "op3_curriculum_mix": op3_curriculum_mix,
     "op4_line_dedup": op4_line_dedup,
     "op5_token_store": op5_token_store,
@@ -62,6 +67,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_simhash_dedup": op10_simhash_dedup,
 }
 ORACLES: dict[str, str] = {
+    "op2_substring_dedup": substring_dedup.ORACLE,
     "op3_curriculum_mix": curriculum.ORACLE,
     "op4_line_dedup": line_dedup.ORACLE,
     "op8_vector_dedup": vector_dedup.ORACLE,
