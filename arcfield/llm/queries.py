@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from arcfield.llm import curriculum, line_dedup, packing, quality_rules, simhash, substring_dedup, token_store, toxicity, vector_dedup
+from arcfield.llm import curriculum, line_dedup, packing, pii, quality_rules, simhash, substring_dedup, token_store, toxicity, vector_dedup
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -51,6 +51,10 @@ def op8_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vector_dedup.dedup_vectors(table(spark, sf_dir, "embeddings"))
 
 
+def op9_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.digest(table(spark, sf_dir, "documents"))
+
+
 def op10_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(table(spark, sf_dir, "documents"))
 
@@ -64,6 +68,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_quality_rules": op6_quality_rules,
     "op7_mixture_packing": op7_mixture_packing,
     "op8_vector_dedup": op8_vector_dedup,
+    "op9_contextual_pii": op9_contextual_pii,
     "op10_simhash_dedup": op10_simhash_dedup,
 }
 ORACLES: dict[str, str] = {
