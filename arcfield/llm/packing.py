@@ -15,18 +15,17 @@ from collections import deque
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from arcfield.deploy import plan_bytes, save, ship
-from arcfield.llm.tokens import encoder, read_tokenizer
+from arcfield.llm.tokens import encoder, read_tokenizer, tidy
 
 WINDOW, QUANTUM, BLOCK = 2048, 256, 1 << 20
 #: Tasks whose tails are packed together: at most TAILS * WINDOW tokens.
 TAILS = 256
 PIECE = "doc_id long, source string, start long, length long, doc_tokens long, sequence_id long, offset long, part int, owed double, ids binary"
-COLUMNS = [c.split()[0] for c in PIECE.split(", ")]
 
 
 class Packer:
@@ -91,12 +90,22 @@ class Packer:
                 yield doc_id, s, start, len(ids), doc_tokens, ids, self.owed.get(s, 0.0)
 
 
-def _rows(pieces, part: int, *, tail: bool = False) -> pd.DataFrame:
-    if tail:
-        rows = [(d, s, st, n, t, None, None, part, owed, ids.astype("<u4").tobytes()) for d, s, st, n, t, ids, owed in pieces]
-    else:
-        rows = [(d, s, st, n, t, q, o, part, None, ids.astype("<u4").tobytes()) for d, s, st, n, t, q, o, ids in pieces]
-    return pd.DataFrame(rows, columns=COLUMNS).astype({"doc_id": "Int64", "sequence_id": "Int64", "offset": "Int64", "owed": "float64", "source": "object"})
+SCHEMA = pa.schema([(c, {"long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "string": pa.string(), "binary": pa.binary()}[t]) for c, t in (x.split() for x in PIECE.split(", "))])
+
+
+def _rows(pieces, part: int) -> pa.RecordBatch:
+    """Pieces of windows as Arrow columns."""
+    d, s, st, n, t, q, o, ids = zip(*pieces) if (pieces := list(pieces)) else [()] * 8
+    columns = [d, s, st, n, t, q, o, [part] * len(d), [None] * len(d), [x.tobytes() for x in ids]]
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, SCHEMA)], schema=SCHEMA)
+
+
+def _tail(pieces, part: int) -> pa.RecordBatch:
+    """What a task leaves, with what each source is owed and no window."""
+    d, s, st, n, t, ids, owed = zip(*pieces) if (pieces := list(pieces)) else [()] * 7
+    none = [None] * len(d)
+    columns = [d, s, st, n, t, none, none, [part] * len(d), owed, [x.tobytes() for x in ids]]
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, SCHEMA)], schema=SCHEMA)
 
 
 def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WINDOW, quantum: int = QUANTUM, shares: dict[str, float] | None = None) -> DataFrame:
@@ -112,40 +121,42 @@ def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WI
     spark = docs.sparkSession
     ship(spark)
     content = spark.sparkContext.broadcast(read_tokenizer(tokenizer_path))
-    docs = docs.select("doc_id", "source", "text")
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), "text")
 
-    def first(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         part = TaskContext.get().partitionId()
         enc = encoder(content.value)
-        end = np.array([eos], enc.dtype).tobytes()
+        end = np.array([eos], enc.dtype)
         packer, waiting = Packer(window, quantum, shares, part << 32), 0
-        for pdf in batches:
-            for i, s, text in zip(pdf["doc_id"].astype(object), pdf["source"], pdf["text"]):
-                ids = np.frombuffer(enc.encode(text) + end, enc.dtype)
-                packer.add(None if pd.isna(i) else int(i), s, 0, len(ids), ids)
-                waiting += len(ids)
+        for batch in batches:
+            ids, sources, texts = batch.columns
+            for i, s, tokens in zip(ids.to_pylist(), sources.to_pylist(), enc.encode_arrow(texts)):
+                tokens = np.concatenate((tokens, end)).astype("<u4")
+                packer.add(i, s, 0, len(tokens), tokens)
+                waiting += len(tokens)
                 if waiting >= BLOCK:
                     yield _rows(packer.windows(), part)
                     waiting = 0
         yield _rows(packer.windows(), part)
-        yield _rows(packer.rest(), part, tail=True)
+        yield _tail(packer.rest(), part)
+        tidy()
 
-    def second(pdf: pd.DataFrame) -> pd.DataFrame:
-        group = int(pdf["part"].iloc[0]) // TAILS
+    def second(pieces: pa.Table) -> pa.Table:
+        rows = sorted(pieces.to_pylist(), key=lambda r: (r["part"], r["source"] or "", -1 if r["doc_id"] is None else r["doc_id"], r["start"]))
+        group = rows[0]["part"] // TAILS
         packer = Packer(window, quantum, shares, (group + (1 << 30)) << 32)
-        pdf = pdf.sort_values(["part", "source", "doc_id", "start"], kind="stable")
-        for _, source, owed in pdf[["part", "source", "owed"]].drop_duplicates().itertuples(index=False):
+        for (_, source), owed in {(r["part"], r["source"]): r["owed"] for r in rows}.items():
             packer.owed[source] = packer.owed.get(source, 0.0) + owed
-        for r in pdf.itertuples(index=False):
-            packer.add(None if pd.isna(r.doc_id) else int(r.doc_id), r.source, int(r.start), int(r.doc_tokens), np.frombuffer(r.ids, "<u4"))
-        return _rows(packer.windows(last=True), group)
+        for r in rows:
+            packer.add(r["doc_id"], r["source"], r["start"], r["doc_tokens"], np.frombuffer(r["ids"], "<u4"))
+        return pa.Table.from_batches([_rows(packer.windows(last=True), group)])
 
     n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs) >> 26)
     dealt = docs.withColumn("h", F.xxhash64("doc_id", F.lit(11))).repartition(n, "h").sortWithinPartitions("h", "doc_id").drop("h")
-    made = save(dealt.mapInPandas(first, PIECE), "pieces")
-    tails = made.where("sequence_id is null").withColumn("g", F.floor(F.col("part") / TAILS)).groupBy("g").applyInPandas(second, PIECE)
+    made = save(dealt.select("doc_id", "source", "text").mapInArrow(first, PIECE), "pieces")
+    tails = made.where("sequence_id is null").groupBy(F.floor(F.col("part") / TAILS)).applyInArrow(second, PIECE)
     return made.where("sequence_id is not null").unionByName(tails).drop("part", "owed")
 
 
