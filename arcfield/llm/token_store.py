@@ -15,16 +15,18 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from arcfield.deploy import plan_bytes, scratch, ship
-from arcfield.llm.tokens import encoder, read_tokenizer
+from arcfield.llm.tokens import encoder, read_tokenizer, tidy
 
-CHUNK_DOCS, CHUNK_BYTES = 512, 4 << 20
+CHUNK_DOCS, CHUNK_BYTES, GROUP_BYTES = 256, 192 << 10, 16 << 20
 #: Dictionary sample: documents, ids of each, and the dictionary's bytes.
 SAMPLE_DOCS, SAMPLE_IDS, DICT_BYTES = 1000, 8192, 64 << 10
 CHUNKS = "shard int, chunk int, base long, doc_ids array<long>, counts array<long>, offsets array<long>, frames binary, dict_hash string, width int"
+SCHEMA = pa.schema([("shard", pa.int32()), ("chunk", pa.int32()), ("base", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("counts", pa.list_(pa.int64())), ("offsets", pa.list_(pa.int64())), ("frames", pa.binary()), ("dict_hash", pa.string()), ("width", pa.int32())])
 
 
 def train_dictionary(docs: DataFrame, content, eos: int) -> bytes:
@@ -37,7 +39,7 @@ def train_dictionary(docs: DataFrame, content, eos: int) -> bytes:
     def ids(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc = encoder(content.value)
         for pdf in batches:
-            yield pd.DataFrame({"b": [enc.encode(t)[: SAMPLE_IDS * enc.dtype.itemsize] for t in pdf["text"]]})
+            yield pd.DataFrame({"b": [x[:SAMPLE_IDS].tobytes() for x in enc.encode_many(pdf["text"])]})
 
     samples = [bytes(r.b) for r in picked.mapInPandas(ids, "b binary").orderBy("b").collect() if r.b]
     if sum(map(len, samples)) < 8 * DICT_BYTES or len(samples) < 16:
@@ -57,33 +59,36 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, eos: int) -> s
     spark = docs.sparkSession
     ship(spark)
     content = spark.sparkContext.broadcast(read_tokenizer(tokenizer_path))
-    docs = docs.select("doc_id", "text")
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     trained = train_dictionary(docs, content, eos)
     mark = hashlib.sha256(trained).hexdigest()
     spark.createDataFrame([(mark, bytearray(trained))], "dict_hash string, data binary").coalesce(1).write.parquet(f"{path}/dictionary")
 
-    def encode(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
         from pyspark import TaskContext
 
         shard = TaskContext.get().partitionId()
         enc = encoder(content.value)
-        end = np.array([eos], enc.dtype).tobytes()
-        extra = {"dict_data": zstandard.ZstdCompressionDict(trained)} if trained else {}
+        end = np.array([eos], enc.dtype)
+        extra = {}
+        if trained:
+            extra["dict_data"] = zstandard.ZstdCompressionDict(trained)
+            extra["dict_data"].precompute_compress(level=3)
         press = zstandard.ZstdCompressor(level=3, write_content_size=True, **extra)
         chunk = base = 0
         ids, counts, frames, size = [], [], [], 0
 
-        def row():
-            sizes = np.fromiter(map(len, frames), np.int64, len(frames))
-            return pd.DataFrame({"shard": [shard], "chunk": [chunk], "base": [base], "doc_ids": [ids], "counts": [counts], "offsets": [np.concatenate(([0], np.cumsum(sizes)))], "frames": [b"".join(frames)], "dict_hash": [mark], "width": [enc.dtype.itemsize]})
+        def row() -> pa.RecordBatch:
+            offsets = np.concatenate(([0], np.cumsum(np.fromiter(map(len, frames), np.int64, len(frames)))))
+            values = (shard, chunk, base, ids, counts, offsets.tolist(), b"".join(frames), mark, enc.dtype.itemsize)
+            return pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(values, SCHEMA)], schema=SCHEMA)
 
-        for pdf in batches:
-            for i, text in zip(pdf["doc_id"].astype(object), pdf["text"]):
-                raw = enc.encode(text) + end
-                ids.append(None if pd.isna(i) else int(i))
-                counts.append(len(raw) // enc.dtype.itemsize)
-                frames.append(press.compress(raw))
+        for batch in batches:
+            for i, tokens in zip(batch.column(0).to_pylist(), enc.encode_arrow(batch.column(1))):
+                ids.append(i)
+                counts.append(len(tokens) + 1)
+                frames.append(press.compress(np.concatenate((tokens, end)).tobytes()))
                 size += len(frames[-1])
                 if len(ids) >= CHUNK_DOCS or size >= CHUNK_BYTES:
                     yield row()
@@ -91,10 +96,11 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, eos: int) -> s
                     ids, counts, frames, size = [], [], [], 0
         if ids:
             yield row()
+        tidy()
 
     n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs) >> 27)
     dealt = docs.repartitionByRange(n, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
-    dealt.mapInPandas(encode, CHUNKS).write.option("compression", "none").parquet(f"{path}/chunks")
+    dealt.mapInArrow(encode, CHUNKS).write.option("compression", "none").options(**{"parquet.block.size": GROUP_BYTES, "parquet.page.size.row.check.min": 4, "parquet.block.size.row.check.min": 16, "parquet.enable.dictionary": "false"}).parquet(f"{path}/chunks")
     return path
 
 
@@ -115,28 +121,29 @@ def read_tokens(spark: SparkSession, path: str, doc_ids: list[int] | None = None
     if only is not None:
         chunks = chunks.where(F.arrays_overlap("doc_ids", F.array(*[F.lit(int(i)) for i in only])))
 
-    def decode(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
         open_: dict[str, zstandard.ZstdDecompressor] = {}
-        for pdf in batches:
-            for r in pdf.itertuples(index=False):
-                if r.dict_hash not in open_:
-                    data = trained[r.dict_hash]
-                    if hashlib.sha256(data).hexdigest() != r.dict_hash:
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary())
+        for batch in batches:
+            for k in range(batch.num_rows):
+                shard, _, base, ids, counts, offsets, frames, mark, width = (c[k].as_py() for c in batch.columns)
+                if mark not in open_:
+                    data = trained[mark]
+                    if hashlib.sha256(data).hexdigest() != mark:
                         raise ValueError("the dictionary is not the one the frames were written with")
-                    open_[r.dict_hash] = zstandard.ZstdDecompressor(**({"dict_data": zstandard.ZstdCompressionDict(data)} if data else {}))
-                start = before[r.shard] + r.base
-                out = []
-                for k, (i, n) in enumerate(zip(r.doc_ids, r.counts)):
-                    i = None if i is None or i != i else int(i)
+                    open_[mark] = zstandard.ZstdDecompressor(**({"dict_data": zstandard.ZstdCompressionDict(data)} if data else {}))
+                start, out = before[shard] + base, []
+                for i, n, a, b in zip(ids, counts, offsets, offsets[1:]):
                     if only is None or i in only:
-                        raw = open_[r.dict_hash].decompress(r.frames[r.offsets[k] : r.offsets[k + 1]])
-                        out.append((i, start, n, np.frombuffer(raw, f"<u{r.width}").astype("<u4").tobytes()))
+                        raw = open_[mark].decompress(frames[a:b])
+                        out.append((i, start, n, np.frombuffer(raw, f"<u{width}").astype("<u4").tobytes()))
                     start += n
-                yield pd.DataFrame(out, columns=["doc_id", "start", "n_tokens", "ids"]).astype({"doc_id": "Int64", "start": "int64", "n_tokens": "int64"})
+                columns = zip(*out) if out else [()] * 4
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds)], names=["doc_id", "start", "n_tokens", "ids"])
 
-    return chunks.mapInPandas(decode, "doc_id long, start long, n_tokens long, ids binary")
+    return chunks.mapInArrow(decode, "doc_id long, start long, n_tokens long, ids binary")
 
 
 def digest(docs: DataFrame, tokenizer_path: str, eos: int = 2) -> DataFrame:
