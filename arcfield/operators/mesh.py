@@ -127,18 +127,48 @@ def write_mesh(df: DataFrame, path: str, depth: int = DEPTH) -> None:
     with_mesh(df, depth).repartitionByRange("mesh_id").sortWithinPartitions("mesh_id").write.mode("overwrite").parquet(path)
 
 
+def _cross(a, b):
+    return a[1] * b[2] - a[2] * b[1], a[2] * b[0] - a[0] * b[2], a[0] * b[1] - a[1] * b[0]
+
+
+def _dot(a, b) -> float:
+    return a[0] * b[0] + a[1] * b[1] + a[2] * b[2]
+
+
+def _angle(c: float) -> float:
+    return math.acos(max(-1.0, min(1.0, c)))
+
+
+def _apart(t, n) -> float:
+    """Angle from a direction to a triangle (three tuples), 0 inside; plain arithmetic, which is quickest for one triangle."""
+    a, b, c = t
+    sides = _cross(a, b), _cross(b, c), _cross(c, a)
+    if all(_dot(s, n) >= 0 for s in sides):
+        return 0.0
+    best = max(_dot(a, n), _dot(b, n), _dot(c, n))
+    for p, q, s in ((a, b, sides[0]), (b, c, sides[1]), (c, a, sides[2])):
+        # the foot of the direction on this edge's circle lies between its ends
+        if _dot(_cross(s, p), n) >= 0 and _dot(_cross(q, s), n) >= 0:
+            off = _dot(s, n)
+            best = max(best, math.sqrt(max(0.0, 1 - off * off / _dot(s, s))))
+    return _angle(best)
+
+
 def _judge(t: np.ndarray, convex: Convex) -> str:
     """A triangle against a convex: "out" only if surely outside, "full" only if surely inside."""
-    c = t.sum(0)
-    c /= np.sqrt(c @ c)
-    spread = math.acos(max(-1.0, min(1.0, float((t @ c).min()))))
+    t = [tuple(map(float, p)) for p in t]
+    c = tuple(t[0][k] + t[1][k] + t[2][k] for k in range(3))
+    size = math.sqrt(_dot(c, c))
+    c = tuple(v / size for v in c)
+    spread = max(_angle(_dot(c, p)) for p in t)
     full = True
     for h in convex:
-        n, limit = np.array(h[:3]), math.acos(max(-1.0, min(1.0, h[3])))
-        apart = math.acos(max(-1.0, min(1.0, float(n @ c))))
-        if apart - spread >= limit + 1e-12:
+        n, limit = h[:3], _angle(h[3])
+        gap = _angle(_dot(n, c))
+        if gap - spread >= limit + 1e-12 or gap + spread >= limit and _apart(t, n) >= limit + 1e-12:
             return "out"
-        if apart + spread > limit - 1e-12:
+        # inside where the triangle keeps off the rest of the sphere, a cap about the opposite direction
+        if gap + spread > limit - 1e-12 and _apart(t, (-n[0], -n[1], -n[2])) <= math.pi - limit + 1e-12:
             full = False
     return "full" if full else "part"
 

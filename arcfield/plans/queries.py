@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from arcfield.plans import region_queries, zone_queries
+from arcfield.plans import index_queries, region_queries, zone_queries
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
-for _module in (zone_queries, region_queries):
+for _module in (zone_queries, region_queries, index_queries):
     QUERIES |= _module.QUERIES
     ORACLES |= _module.ORACLES
