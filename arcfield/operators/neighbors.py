@@ -20,7 +20,7 @@ def _pairs_by_cell(df: DataFrame, r: float, h: float) -> DataFrame:
     return p.join(o, ["zone", "cell"])
 
 
-def _pairs_by_delta(df: DataFrame, r: float, h: float, width: str) -> list[tuple[int, DataFrame]]:
+def _pairs_by_delta(df: DataFrame, r: float, h: float, width: str, dec_window: bool = True) -> list[tuple[int, DataFrame]]:
     """One join for each zone offset: main rows against rows with margins, ra and dec windows as residuals."""
     rows = with_margins(df.select("obj_id", "ra", "dec", "x", "y", "z"), r).withColumn("zone", zone_of(F.col("dec"), h))
     a = df.select(F.col("obj_id").alias("a_id"), F.col("ra").alias("a_ra"), F.col("dec").alias("a_dec"), F.col("x").alias("ax"), F.col("y").alias("ay"), F.col("z").alias("az"), zone_of(F.col("dec"), h).alias("a_zone"))
@@ -30,7 +30,9 @@ def _pairs_by_delta(df: DataFrame, r: float, h: float, width: str) -> list[tuple
     for delta in range(-reach, reach + 1):
         p = a.withColumn("zone", F.col("a_zone") + delta).withColumn("delta_zone", F.lit(delta))
         gap = F.col("ra") - F.col("a_ra")
-        window = (gap >= -F.col("w")) & (gap <= F.col("w")) & (gap >= -180.0) & (gap < 180.0) & (F.abs(F.col("dec") - F.col("a_dec")) <= r + 1e-9)
+        window = (gap >= -F.col("w")) & (gap <= F.col("w")) & (gap >= -180.0) & (gap < 180.0)
+        if dec_window:
+            window = window & (F.abs(F.col("dec") - F.col("a_dec")) <= r + 1e-9)
         out.append((delta, p.join(rows, "zone").where(window)))
     return out
 
@@ -62,8 +64,8 @@ def mirrored(pairs: DataFrame) -> DataFrame:
 
 
 def comparison_count(df: DataFrame, r: float, h: float, passes: str = "cells") -> DataFrame:
-    """(h, joins, comparisons, pairs): pairs that reach the chord test, and those that pass, half counted."""
-    parts = [_pairs_by_cell(df, r, h)] if passes == "cells" else [p for _, p in _pairs_by_delta(df, r, h, "exact")]
+    """(h, joins, comparisons, pairs): pairs that the zone and ra keys let through, and the half pairs within ``r``."""
+    parts = [_pairs_by_cell(df, r, h)] if passes == "cells" else [p for _, p in _pairs_by_delta(df, r, h, "exact", dec_window=False)]
     total = None
     q = (F.col("ax"), F.col("ay"), F.col("az"))
     for p in parts:
