@@ -72,6 +72,19 @@ def drop_path(spark: SparkSession, path: str) -> None:
     hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
-def plan_bytes(df) -> int:
-    """Catalyst's size estimate of a plan (for a file scan: bytes on storage)."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+def plan_bytes(df, text: str) -> int:
+    """Bytes of input behind a plan.
+
+    For filters and projections over files this is Catalyst's estimate, the
+    bytes on storage.  Estimates of other plans multiply through joins, or say
+    nothing; there the bytes of column ``text`` are summed.
+    """
+    import re
+
+    from pyspark.sql import functions as F
+
+    plan = df._jdf.queryExecution().optimizedPlan()
+    nodes = re.findall(r"^[\s:+\-]*(\w+)", plan.toString(), re.M)
+    if set(nodes) <= {"Project", "Filter", "Relation", "RelationV2"}:
+        return int(plan.stats().sizeInBytes())
+    return int(df.agg(F.sum(F.octet_length(text))).first()[0] or 0)
