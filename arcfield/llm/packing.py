@@ -153,7 +153,7 @@ def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WI
             packer.add(r["doc_id"], r["source"], r["start"], r["doc_tokens"], np.frombuffer(r["ids"], "<u4"))
         return pa.Table.from_batches([_rows(packer.windows(last=True), group)])
 
-    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs) >> 26)
+    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs, "text") >> 26)
     dealt = docs.withColumn("h", F.xxhash64("doc_id", F.lit(11))).repartition(n, "h").sortWithinPartitions("h", "doc_id").drop("h")
     made = save(dealt.select("doc_id", "source", "text").mapInArrow(first, PIECE), "pieces")
     tails = made.where("sequence_id is null").groupBy(F.floor(F.col("part") / TAILS)).applyInArrow(second, PIECE)

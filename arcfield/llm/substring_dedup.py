@@ -149,26 +149,30 @@ def _send_anchors(buckets: int):
     return task
 
 
-def _meet_anchors(pdf: pd.DataFrame) -> pd.DataFrame:
-    """For each block: its anchors in two documents, those in many blocks apart."""
-    parts = [np.frombuffer(b, "<u8") for b in pdf["v"]]
-    v = np.concatenate(parts)
-    two = np.concatenate([np.frombuffer(b, bool) for b in pdf["two"]])
-    row = np.repeat(np.arange(len(parts)), list(map(len, parts)))
-    order = np.argsort(v, kind="stable")
-    s = v[order]
-    new = np.concatenate(([True], s[1:] != s[:-1]))
-    first, group = np.flatnonzero(new), np.cumsum(new) - 1
-    size = np.diff(np.concatenate((first, [len(s)])))
-    multi = (size > 1) | np.logical_or.reduceat(two[order], first)
-    out = {"few": [b""] * len(parts), "many": [b""] * len(parts)}
-    for name, pick in (("few", multi & (size < COMMON)), ("many", multi & (size >= COMMON))):
-        at = order[pick[group]]
-        at.sort()
-        cuts = np.searchsorted(row[at], np.arange(len(parts) + 1))
-        out[name] = [v[at[cuts[k] : cuts[k + 1]]].tobytes() for k in range(len(parts))]
-    made = pd.DataFrame({"block": pdf["block"]} | {k: x for k, x in out.items()})
-    return made[(made["few"].str.len() > 0) | (made["many"].str.len() > 0)]
+def _meet_anchors(common: int):
+    """For each block: its anchors in two documents, those in ``common`` blocks or more apart."""
+
+    def task(pdf: pd.DataFrame) -> pd.DataFrame:
+        parts = [np.frombuffer(b, "<u8") for b in pdf["v"]]
+        v = np.concatenate(parts)
+        two = np.concatenate([np.frombuffer(b, bool) for b in pdf["two"]])
+        row = np.repeat(np.arange(len(parts)), list(map(len, parts)))
+        order = np.argsort(v, kind="stable")
+        s = v[order]
+        new = np.concatenate(([True], s[1:] != s[:-1]))
+        first, group = np.flatnonzero(new), np.cumsum(new) - 1
+        size = np.diff(np.concatenate((first, [len(s)])))
+        multi = (size > 1) | np.logical_or.reduceat(two[order], first)
+        out = {"few": [b""] * len(parts), "many": [b""] * len(parts)}
+        for name, pick in (("few", multi & (size < common)), ("many", multi & (size >= common))):
+            at = order[pick[group]]
+            at.sort()
+            cuts = np.searchsorted(row[at], np.arange(len(parts) + 1))
+            out[name] = [v[at[cuts[k] : cuts[k + 1]]].tobytes() for k in range(len(parts))]
+        made = pd.DataFrame({"block": pdf["block"]} | {k: x for k, x in out.items()})
+        return made[(made["few"].str.len() > 0) | (made["many"].str.len() > 0)]
+
+    return task
 
 
 def _sorted_of(column: pd.Series) -> np.ndarray:
@@ -245,7 +249,7 @@ def _cut(docs: pd.DataFrame, told: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"id": docs["id"], "n_words": b.lengths, "n_removed": removed, "kept": kept})
 
 
-def dedup_substrings(docs: DataFrame) -> DataFrame:
+def dedup_substrings(docs: DataFrame, common: int = COMMON) -> DataFrame:
     """(doc_id, n_words, n_removed, kept) of every row; ``kept`` joins the words that stay by one space.
 
     A word goes where a window of 13 words of its document covers it whose
@@ -253,15 +257,16 @@ def dedup_substrings(docs: DataFrame) -> DataFrame:
     empty texts have no words.  Rows with a null doc_id lose nothing and take
     nothing from others; rows that share an id count as one document for each
     other and are judged each.  Other columns are not read.  An empty table
-    gives no rows.
+    gives no rows.  ``common`` is how many blocks share an anchor before its
+    windows are routed by their whole sequence; it changes no result.
     """
     spark = docs.sparkSession
     ship(spark)
-    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs.select("doc_id", "text")) // BLOCK_BYTES)
+    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs.select("doc_id", "text"), "text") // BLOCK_BYTES)
     rows = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("binary").alias("text"))
     known = rows.where("id is not null").withColumn("block", F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")).repartition(n, "block")
     anchors = known.groupBy("block").applyInPandas(_send_anchors(n), "bucket int, block int, v binary, two binary")
-    told = anchors.groupBy("bucket").applyInPandas(_meet_anchors, "block int, few binary, many binary")
+    told = anchors.groupBy("bucket").applyInPandas(_meet_anchors(common), "block int, few binary, many binary")
     suffixes = known.groupBy("block").cogroup(told.groupBy("block")).applyInPandas(_send_suffixes(n), "bucket int, block int, k1 binary, k2 binary, doc binary")
     late = suffixes.groupBy("bucket").applyInPandas(_grow_trees, "block int, k1 binary, k2 binary")
     cut = known.groupBy("block").cogroup(late.groupBy("block")).applyInPandas(_cut, "id long, n_words long, n_removed long, kept string")

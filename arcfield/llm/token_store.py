@@ -98,7 +98,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, eos: int) -> s
             yield row()
         tidy()
 
-    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs) >> 27)
+    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs, "text") >> 27)
     dealt = docs.repartitionByRange(n, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
     dealt.mapInArrow(encode, CHUNKS).write.option("compression", "none").options(**{"parquet.block.size": GROUP_BYTES, "parquet.page.size.row.check.min": 4, "parquet.block.size.row.check.min": 16, "parquet.enable.dictionary": "false"}).parquet(f"{path}/chunks")
     return path
