@@ -3,6 +3,7 @@
 import math
 
 import duckdb
+import pandas as pd
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
@@ -11,7 +12,7 @@ def rows_of(pdf):
     cols = sorted(pdf.columns)
 
     def cell(v):
-        if v is None or v is not v or str(v) in ("NaT", "<NA>"):
+        if v is None or pd.isna(v) is True:
             return "None"
         return f"{v:.9g}" if isinstance(v, float) and math.isfinite(v) else str(v)
 
