@@ -2,8 +2,8 @@
 
 Coarse inverted lists hold vectors by nearest centroid; their residuals are
 coded by subspace.  A vector probes every list that can hold a partner: the
-partner's own nearest centroid is at most twice the linking distance further
-from the query than the query's nearest, so no link is lost.  A list is cut
+plane midway between its own centroid and the query's nearest is no further
+from the query than the linking distance, so no link is lost.  A list is cut
 into rings by distance to its centroid, and a large ring into salted parts
 that its queries all visit.  Inside, asymmetric table-lookup distances, less
 each code's known error, discard what cannot be near; an exact cosine in
@@ -99,6 +99,7 @@ def near_links(classes: DataFrame, q: Quantiser, limit: float) -> DataFrame:
     delta = float(np.sqrt(max(0.0, 2 - 2 * limit))) + _SLACK
     sent = spark.sparkContext.broadcast(q)
     step = max(delta, 1e-3)
+    gaps = np.sqrt(np.maximum(0.0, ((q.centroids[:, None] - q.centroids[None]) ** 2).sum(2)))
 
     def place(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         q = sent.value
@@ -108,7 +109,8 @@ def near_links(classes: DataFrame, q: Quantiser, limit: float) -> DataFrame:
             for at in range(0, len(pdf), 2048):
                 part = pdf.iloc[at : at + 2048]
                 d, home = q.assign(_unit(_matrix(part["embedding"])))
-                row, lists = np.nonzero(d <= d[np.arange(len(d)), home][:, None] + 2 * delta)
+                # a partner in another list lies beyond the plane midway between both centroids
+                row, lists = np.nonzero(d * d - (d[np.arange(len(d)), home] ** 2)[:, None] <= 2 * delta * gaps[home] + _SLACK)
                 ring = np.floor(d[row, lists] / step).astype(np.int32)
                 yield pd.DataFrame({"cid": part["cid"].to_numpy()[row], "label": part["label"].to_numpy()[row], "list": lists.astype(np.int32), "ring": ring, "home": home[row] == lists})
 
