@@ -221,3 +221,50 @@ def test_empty_tables(spark):
     assert Z.nearby(df, 1, 2, 3).count() == 0
     assert Z.nearest(df, 1, 2, 3).count() == 0
     assert N.density_clusters(df, N.neighbors(df, 1.0), 1).count() == 0
+
+
+def test_mesh_columns(spark, sf):
+    df = mesh.with_mesh(sky(spark, sf, "sky_supplier"), 6)
+    up = mesh.mesh_parent("mesh_id", 2)
+    row = df.select("mesh_id", up.alias("up"), mesh.mesh_level("mesh_id").alias("level"), mesh.mesh_path("mesh_id").alias("path"), mesh.mesh_contains(up, F.col("mesh_id")).alias("holds"), mesh.mesh_contains(up + 1, F.col("mesh_id")).alias("other")).first()
+    assert row.level == 6 and row.up == row.mesh_id >> 4 and row.holds and not row.other
+    digits, i = "", row.mesh_id
+    while i >= 16:
+        digits, i = str(i & 3) + digits, i >> 2
+    assert row.path == ("S" if i < 12 else "N") + str(i % 4) + digits
+    low, high = mesh.range_of(row.mesh_id, 8)
+    assert high - low == 15 and mesh.level_of(low) == 8
+
+
+def test_conversions(spark, sf):
+    df = sky(spark, sf, "sky_customer")
+    s, u = M.to_sky("x", "y", "z"), M.to_unit("ra", "dec")
+    gap = df.select(F.max(F.abs(s["ra"] - F.col("ra"))).alias("a"), F.max(F.abs(s["dec"] - F.col("dec"))).alias("b"), F.max(F.abs(u["x"] - F.col("x"))).alias("c"), F.max(F.abs(u["z"] - F.col("z"))).alias("d")).first()
+    assert max(gap) < 1e-9
+    minus = df.select(M.negate("x", "y", "z", F.lit(0.5)).alias("n"), "x").first()
+    assert minus.n.l == -0.5 and minus.n.x == -minus.x
+
+
+def test_pixels(spark):
+    from arcfield.operators import pixels
+
+    rng = np.random.default_rng(5)
+    rows = [(i, float(a), float(z)) for i, (a, z) in enumerate(zip(rng.uniform(0, 360, 20000), rng.uniform(-1, 1, 20000)))]
+    df = spark.createDataFrame(rows, "obj_id long, ra double, z double")
+    for order in (0, 1, 3):
+        n = 12 * 4**order
+        ring, nest = pixels.ring_pixel(F.col("z"), F.col("ra"), order), pixels.nested_pixel(F.col("z"), F.col("ra"), order)
+        got = df.select(ring.alias("r"), nest.alias("n"), pixels.ring_of(ring, order).alias("ring"), "z").toPandas()
+        assert got["r"].between(0, n - 1).all() and got["n"].between(0, n - 1).all()
+        assert got.groupby("r")["n"].nunique().max() == 1 and got.groupby("n")["r"].nunique().max() == 1
+        assert got["ring"].between(1, 4 * 2**order - 1).all()
+        assert got.sort_values("ring").groupby("ring")["z"].mean().is_monotonic_decreasing
+
+
+def test_layouts(spark, sf, tmp_path):
+    mesh.write_mesh(sky(spark, sf, "sky_supplier"), str(tmp_path / "mesh"))
+    assert mesh.mesh_nearby_eq(spark.read.parquet(str(tmp_path / "mesh")), 30.0, 20.0, 60.0).count() == Z.nearby(sky(spark, sf, "sky_supplier"), 30.0, 20.0, 60.0).count()
+    cells = P.build_pyramid(sky(spark, sf, "sky_part"), 0.02, 10)
+    P.write_pyramid(cells, str(tmp_path / "pyramid"))
+    back = spark.read.parquet(str(tmp_path / "pyramid"))
+    assert P.pyramid_overlap(back, 30.0, 20.0, 20.0, 0.02, 10).count() == P.pyramid_overlap(cells, 30.0, 20.0, 20.0, 0.02, 10).count()
