@@ -4,8 +4,9 @@ Base spans of four kinds seed the bootstrap.  The two words before a span are
 its lexical pattern.  Patterns and instances form a graph: a pattern is as
 good as the share of all words it introduces, anywhere in the corpus, that
 are known entities of its kind; an unseen identifier is as good as the
-patterns that introduce it, together.  Each round scores the graph, takes the
-best patterns, and lets what they introduce count as known in the next.
+patterns that introduce it, together.  Each round scores the graph, tests
+every pattern, and lets what the good ones introduce count as known in the
+next, until a round adds nothing.
 
 Everything is DataFrame functions.  Base patterns are written so that the
 regex engine never rescans a run of characters: a match can only begin where a
@@ -33,8 +34,8 @@ PATTERNS = {
 #: A word with a digit or an at sign; the shape of an identifier.
 IDENTIFIER = rf"(?<![^{_BLANK}])[^{_BLANK}0-9@]*+[0-9@][^{_BLANK}]*+"
 CONTEXT_CHARS = 120
-#: Best patterns a round may take; distinct known entities and precision a pattern needs; belief an instance needs; rounds.
-TOP_PATTERNS, MIN_KNOWN, MIN_PRECISION, MIN_BELIEF, ROUNDS = 1000, 4, 0.7, 0.85, 3
+#: Patterns that are broadcast, more are shuffled; distinct known entities and precision a pattern needs; belief an instance needs.
+MOST_BROADCAST, MIN_KNOWN, MIN_PRECISION, MIN_BELIEF = 50_000, 4, 0.7, 0.85
 
 
 def matches(text: Column, pattern: str) -> Column:
@@ -122,48 +123,56 @@ def mentions(docs: DataFrame) -> DataFrame:
     return found.select("rid", "doc_id", "base", "free")
 
 
-def _introduced(docs: DataFrame, patterns: DataFrame) -> DataFrame:
-    """(context, introduced): distinct words that each of ``patterns`` precedes, over all texts."""
+def _introduced(docs: DataFrame, patterns: DataFrame, most: int = MOST_BROADCAST) -> DataFrame:
+    """(context, introduced): distinct words that each of ``patterns`` precedes, over all texts.
+
+    Up to ``most`` patterns are broadcast; more meet the distinct places in a shuffle.
+    """
     words = F.split(F.trim(F.regexp_replace(F.lower(F.coalesce("text", F.lit(""))), rf"[{_BLANK}]+", " ")), " ")
     w = docs.select(words.alias("w")).where(F.size("w") > 2)
     # one row for each place: its two words and the next
     w = w.select("w", F.explode(F.sequence(F.lit(0), F.size("w") - 3)).alias("i"))
     w = w.select(F.concat_ws(" ", F.get("w", F.col("i")), F.get("w", F.col("i") + 1)).alias("context"), F.get("w", F.col("i") + 2).alias("next"))
-    hit = w.join(F.broadcast(patterns.select("context")), "context")
-    return hit.groupBy("context").agg(F.approx_count_distinct("next", 0.02).alias("introduced"), F.count("*").alias("places"))
+    asked = patterns.select("context")
+    hit = w.join(F.broadcast(asked), "context") if patterns.count() <= most else w.distinct().join(asked.hint("shuffle_merge"), "context")
+    return hit.groupBy("context").agg(F.approx_count_distinct("next", 0.02).alias("introduced"))
 
 
-def discover(docs: DataFrame, found: DataFrame, *, top: int = TOP_PATTERNS, rounds: int = ROUNDS) -> DataFrame:
-    """(rid, kind, s, e): spans of unseen identifiers that high-confidence patterns introduce."""
+def discover(docs: DataFrame, found: DataFrame, *, most: int = MOST_BROADCAST) -> DataFrame:
+    """(rid, kind, s, e): spans of unseen identifiers that high-confidence patterns introduce.
+
+    Every context with enough known entities is tested; rounds go on until one adds nothing.
+    """
     spark = found.sparkSession
     base = found.select("rid", F.explode("base").alias("x")).select("rid", "x.*")
     free = found.select("rid", F.explode("free").alias("x")).select("rid", "x.*").where("context <> ''")
     seeds = base.where("context <> ''").select("context", "kind", "m").distinct()
     loose = save(free.select("context", "m").distinct(), "pii-instances")
     known = save(seeds, "pii-known")
-    accepted = None
-    for _ in range(rounds):
+    # what becomes known is loose already, so this holds for every round
+    shaped = save(loose.unionByName(known.select("context", "m")).distinct().groupBy("context").agg(F.count("*").alias("n_shaped")), "pii-shaped")
+    accepted, told, n_known = None, None, known.count()
+    while True:
         by = known.groupBy("context", "kind").agg(F.count("*").alias("n_known"))
-        shaped = loose.unionByName(known.select("context", "m")).distinct().groupBy("context").agg(F.count("*").alias("n_shaped"))
-        ranked = by.where(F.col("n_known") >= MIN_KNOWN).join(shaped, "context").where(F.col("n_known") >= MIN_PRECISION * F.col("n_shaped"))
-        # the best by precision times the logarithm of support, at most ``top`` of them: they are broadcast
-        worth = F.col("n_known") / F.col("n_shaped") * F.log2(F.col("n_known"))
-        best = save(ranked.orderBy(worth.desc(), "context", "kind").limit(top), "pii-best")
-        if best.isEmpty():
+        able = save(by.where(F.col("n_known") >= MIN_KNOWN).join(shaped, "context").where(F.col("n_known") >= MIN_PRECISION * F.col("n_shaped")), "pii-able")
+        # the texts do not change: only contexts not yet counted are
+        new = able.select("context").distinct()
+        new = save(new if told is None else new.join(told, "context", "left_anti"), "pii-new")
+        if not new.isEmpty():
+            counted = save(_introduced(docs, new, most), "pii-introduced")
+            told = counted if told is None else told.unionByName(counted)
+        if told is None:
             break
-        told = _introduced(docs, best.select("context").distinct())
-        # by places, so that an entity named often counts as often as a plain word
-        support = base.groupBy("context", "kind").agg(F.count("*").alias("spans"))
-        scored = best.join(told, "context").join(support, ["context", "kind"], "left")
+        scored = able.join(told, "context")
         scored = scored.withColumn("precision", F.least(F.col("n_known") / F.greatest("introduced", "n_shaped"), F.lit(0.99)))
         scored = save(scored.where(F.col("precision") >= MIN_PRECISION).select("context", "kind", "precision"), "pii-patterns")
         belief = loose.join(scored, "context").groupBy("m", "kind").agg((1 - F.exp(F.sum(F.log(1 - F.col("precision"))))).alias("belief"))
         accepted = save(belief.where(F.col("belief") >= MIN_BELIEF).groupBy("m").agg(F.max_by("kind", F.struct("belief", "kind")).alias("kind")), "pii-accepted")
         grown = loose.join(accepted, "m").select("context", "kind", "m")
-        wider = save(known.unionByName(grown).distinct(), "pii-known")
-        if wider.count() == known.count():
+        known = save(known.unionByName(grown).distinct(), "pii-known")
+        before, n_known = n_known, known.count()
+        if n_known == before:
             break
-        known = wider
     if accepted is None:
         return spark.createDataFrame([], "rid long, kind string, s int, e int")
     return free.join(accepted, "m").select("rid", "kind", "s", "e")

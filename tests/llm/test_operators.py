@@ -456,6 +456,17 @@ def test_bootstrap_finds_unseen_identifiers(spark):
     assert "[email]" in clean and "@" not in clean
 
 
+def test_bootstrap_tests_every_pattern(spark):
+    """More failing contexts than were once tested rank before the good one; both joins of the count find it."""
+    rows = [(k, " ".join(f"c{k} of: u{k}x{j}@a.example c{k} of: plain{'abcdefghijkl'[j]}" for j in range(12)), "", "", 1) for k in range(1001)]
+    rows += [(2000 + i, f"my email: user{i}@mail.example", "", "", 1) for i in range(10)]
+    rows += [(2100, "my email: handle7(at)home", "", "", 1)]
+    docs = spark.createDataFrame(rows, DOCS).repartition(4)
+    for most in (pii.MOST_BROADCAST, 1):
+        got = {r.doc_id: [tuple(x) for x in r.spans] for r in pii.extract(docs, most=most).where("doc_id >= 2100").collect()}
+        assert got == {2100: [("email", 10, 25)]}
+
+
 def test_native_operators_have_no_python(docs):
     for df in (line_dedup.digest(docs), pii.digest(docs)):
         assert not re.search("Python|Pandas|Arrow", df._jdf.queryExecution().executedPlan().toString())
