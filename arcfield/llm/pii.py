@@ -95,10 +95,17 @@ def base_spans(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def _context(text: Column, start: Column) -> Column:
-    """The two lower-case words before code point ``start``; '' if there are fewer close by."""
-    n = F.least(start, F.lit(CONTEXT_CHARS))
-    before = F.substring(text, start - n + 1, n)
-    return F.lower(F.regexp_replace(F.regexp_extract(before, rf"(?:^|[{_BLANK}])([^{_BLANK}]++[{_BLANK}]++[^{_BLANK}]++)[{_BLANK}]++$", 1), rf"[{_BLANK}]+", " "))
+    """The two lower-case words before code point ``start``; '' if there are fewer, or no blank right before it."""
+
+    def two(before: Column, edge: str) -> Column:
+        return F.regexp_extract(before, rf"{edge}([^{_BLANK}]++[{_BLANK}]++[^{_BLANK}]++)[{_BLANK}]++$", 1)
+
+    # the words nearly always lie close by; where the short piece may cut one, all that is before is read
+    whole, short = F.substring(text, F.lit(1), start), F.substring(text, start - CONTEXT_CHARS + 1, F.lit(CONTEXT_CHARS))
+    near = two(short, f"[{_BLANK}]")
+    apart = F.rlike(F.substring(text, start, F.lit(1)), F.lit(f"[{_BLANK}]"))
+    found = F.when((start == 0) | ~apart, "").when((start > CONTEXT_CHARS) & (near != ""), near).otherwise(two(whole, f"(?:^|[{_BLANK}])"))
+    return F.lower(F.regexp_replace(found, rf"[{_BLANK}]+", " "))
 
 
 def mentions(docs: DataFrame) -> DataFrame:
@@ -134,8 +141,8 @@ def _introduced(docs: DataFrame, patterns: DataFrame, most: int = MOST_BROADCAST
     w = w.select("w", F.explode(F.sequence(F.lit(0), F.size("w") - 3)).alias("i"))
     w = w.select(F.concat_ws(" ", F.get("w", F.col("i")), F.get("w", F.col("i") + 1)).alias("context"), F.get("w", F.col("i") + 2).alias("next"))
     asked = patterns.select("context")
-    hit = w.join(F.broadcast(asked), "context") if patterns.count() <= most else w.distinct().join(asked.hint("shuffle_merge"), "context")
-    return hit.groupBy("context").agg(F.approx_count_distinct("next", 0.02).alias("introduced"))
+    hit = w.join(F.broadcast(asked), "context").distinct() if patterns.count() <= most else w.distinct().join(asked.hint("shuffle_merge"), "context")
+    return hit.groupBy("context").agg(F.count("*").alias("introduced"))
 
 
 def discover(docs: DataFrame, found: DataFrame, *, most: int = MOST_BROADCAST) -> DataFrame:

@@ -467,6 +467,19 @@ def test_bootstrap_tests_every_pattern(spark):
         assert got == {2100: [("email", 10, 25)]}
 
 
+def test_context_is_two_whole_words(spark):
+    long = "u" * 130
+    rows = [(0, f"see {long} at 1.2.3.4"), (1, f"a b {long} 1.2.3.4"), (2, f"{long} 1.2.3.4"), (3, "one two 1.2.3.4"), (4, "w " * 100 + "One\n Two \t1.2.3.4"), (5, "a b (1.2.3.4"), (6, "1.2.3.4")]
+    got = {r.i: r.c for r in spark.createDataFrame(rows, "i long, t string").select("i", pii._context(F.col("t"), F.instr("t", "1.2.3.4") - 1).alias("c")).collect()}
+    assert got == {0: f"{long} at", 1: f"b {long}", 2: "", 3: "one two", 4: "one two", 5: "", 6: ""}
+
+
+def test_introduced_words_are_counted_exactly(spark):
+    docs = spark.createDataFrame([(" ".join(f"my key n{k}" for k in range(3000)),)], "text string")
+    asked = spark.createDataFrame([("my key",)], "context string")
+    assert [pii._introduced(docs, asked, most).first().introduced for most in (1, 0)] == [3000, 3000]
+
+
 def test_native_operators_have_no_python(docs):
     for df in (line_dedup.digest(docs), pii.digest(docs)):
         assert not re.search("Python|Pandas|Arrow", df._jdf.queryExecution().executedPlan().toString())
