@@ -113,17 +113,23 @@ def order(assigned: DataFrame, schedules=SCHEDULES) -> DataFrame:
     return rows.repartitionByRange("position", "doc_id").sortWithinPartitions("position", "doc_id", "copy")
 
 
-def mix(docs: DataFrame, **how) -> DataFrame:
-    """``docs`` as the mix takes them: a row for each copy; the cut copy counts where at least half of it is taken."""
-    found = assign(docs, **how)
+def mix(docs: DataFrame, *, schedules=SCHEDULES, **how) -> DataFrame:
+    """``docs`` in curriculum order: a row for each copy, range-sorted by its position; the cut copy counts where at least half of it is taken."""
+    found = assign(docs, schedules=schedules, **how)
     n = F.col("passes") + (2 * F.col("part") >= F.greatest("size", F.lit(1))).cast("long")
-    times = found.withColumn("__n", n).where("__n > 0").groupBy(F.col("doc_id").alias("__id")).agg(F.max("__n").alias("__n"))
+    # rows of a repeated id are taken alike
+    times = found.withColumn("n", n).where("n > 0").groupBy(F.col("doc_id").alias("__id")).agg(F.max(F.struct("n", "before", "source_size", "goal", "turn")).alias("m")).select("__id", "m.*")
+    times = times.withColumn("copy", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)))
+    times = times.select("__id", F.col("copy").alias("__copy"), when_at(F.col("copy") * F.col("source_size") + F.col("before"), schedules).alias("__position"))
     joined = docs.join(times, F.col("doc_id").eqNullSafe(F.col("__id")))
-    return joined.withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__n")))).select(*docs.columns)
+    keys = ("__position", "__id", "__copy")
+    return joined.repartitionByRange(*keys).sortWithinPartitions(*keys).select(*docs.columns)
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    return assign(docs).select("doc_id", "size", "source_size", "target", "taken", "passes", F.round("position", 9).alias("position"))
+    """A row a document, range-sorted by the first copy's position; documents that are not taken come first."""
+    out = assign(docs).repartitionByRange("position", "doc_id").sortWithinPartitions("position", "doc_id")
+    return out.select("doc_id", "size", "source_size", "target", "taken", "passes", F.round("position", 9).alias("position"))
 
 
 def _sql_position() -> str:

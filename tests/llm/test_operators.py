@@ -243,6 +243,18 @@ def test_mix(docs, empty):
     assert copies == {r.doc_id: n for r in rows if (n := r.passes + (2 * r.part >= max(1, r["size"])))}
 
 
+def test_mix_and_digest_come_in_curriculum_order(docs):
+    first = [r.position for r in curriculum.digest(docs).collect()]
+    assert first == sorted(first, key=lambda p: -1 if p is None else p) and len(first) == len(ROWS)
+    at = {(r.doc_id, r.copy): r.position for r in curriculum.order(curriculum.assign(docs)).collect()}
+    seen, places = Counter(), []
+    for r in curriculum.mix(docs).collect():
+        if words(r.text):
+            places.append(at[r.doc_id, seen[r.doc_id]])
+            seen[r.doc_id] += 1
+    assert places == sorted(places) and max(seen.values()) > 1
+
+
 def test_schedule_inverts_its_integral(spark):
     for knots in (*curriculum.SCHEDULES, ((0, 1), (1, 1)), ((0, 0), (0.3, 2), (1, 0.1))):
         at = spark.range(0, 21).select((F.col("id") / 20.0).alias("u")).select("u", curriculum.position(F.col("u"), knots).alias("t")).collect()
