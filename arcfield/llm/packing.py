@@ -1,12 +1,15 @@
 """Mixture-controlled packing by deficit round-robin over source queues.
 
-Documents are dealt by hash, so each task sees every source.  It queues the
+Targets are the token shares of the sources over all documents.  Texts are
+encoded once and cut into chunks, which are dealt by hash, so each task sees
+every source, whatever the order and lengths of the documents.  It queues the
 tokens of a block by source; each window adds every source's share to its
 deficit, and the source that is owed most is served a quantum at a time until
-the window is full.  What a source is owed or has overdrawn passes to the next
-window and block; at the end of a task the last, unfilled tokens of all
-queues and the deficits pass on to a second round, which packs the tails of
-many tasks together.  Only a tail group's last window is padded.
+the window is full.  Where a source that is due has run dry, the others wait
+for the next block.  What a source is owed or has overdrawn passes to the next
+window and block; at the end of a task the last tokens of all queues and the
+deficits pass on to a second round, which packs the tails of many tasks
+together.  Only a tail group's last window is padded.
 """
 
 from __future__ import annotations
@@ -23,16 +26,21 @@ from arcfield.deploy import plan_bytes, save, ship
 from arcfield.llm.tokens import encoder, read_tokenizer, tidy
 
 WINDOW, QUANTUM, BLOCK = 2048, 256, 1 << 20
-#: Tasks whose tails are packed together: at most TAILS * WINDOW tokens.
-TAILS = 256
+#: Tokens of a document that are dealt together; blocks that may wait for a source that is due.
+CHUNK, WAIT = 1 << 13, 4
+#: Tasks whose tails are packed together, and windows a tail may have: at most TAILS * TAIL * WINDOW tokens.
+TAILS, TAIL = 256, 4
+CUT = "doc_id long, source string, start long, length long, doc_tokens long, ids binary"
+CUT_COLUMNS = [c.split()[0] for c in CUT.split(", ")]
 PIECE = "doc_id long, source string, start long, length long, doc_tokens long, sequence_id long, offset long, part int, owed double, ids binary"
 
 
 class Packer:
     """Queues, deficits and the open window of one task."""
 
-    def __init__(self, window: int, quantum: int, shares: dict | None, first_sequence: int):
-        self.window, self.quantum, self.shares = window, quantum, shares
+    def __init__(self, window: int, quantum: int, shares: dict, first_sequence: int):
+        total = sum(shares.values()) or 1.0
+        self.window, self.quantum, self.shares = window, quantum, {s: w / total for s, w in shares.items()}
         self.queues: dict = {}
         self.size: dict = {}
         self.owed: dict = {}
@@ -44,15 +52,9 @@ class Packer:
             self.size[source] = self.size.get(source, 0) + len(ids)
             self.total += len(ids)
 
-    def _share(self) -> dict:
-        live = {s: n for s, n in self.size.items() if n}
-        if self.shares:
-            given = {s: self.shares.get(s, 0.0) for s in live}
-            total = sum(given.values())
-            if total > 0:
-                return {s: w / total for s, w in given.items()}
-        total = sum(live.values())
-        return {s: n / total for s, n in live.items()}
+    def _dry(self) -> bool:
+        """Whether a source lacks a quantum or more of what the next window owes it."""
+        return any(self.size.get(s, 0) + self.quantum <= self.owed.get(s, 0.0) + w * self.window for s, w in self.shares.items())
 
     def _take(self, source, most: int):
         head = self.queues[source][0]
@@ -66,19 +68,23 @@ class Packer:
         self.total -= n
         return doc_id, source, start, n, doc_tokens, ids[:n]
 
-    def windows(self, *, last: bool = False):
-        """Pieces of every full window; with ``last`` of the unfilled one too."""
-        share = self._share() if self.total else {}
+    def windows(self, *, last: bool = False, wait: int = 0):
+        """Pieces of every full window; with ``last`` of the unfilled one too.
+
+        Up to ``wait`` tokens stay in their queues while a source that is due has run dry.
+        """
         while self.total >= self.window or last and self.total:
+            if self.total <= wait and self._dry():
+                break
             room = min(self.window, self.total)
-            for s, w in share.items():
+            for s, w in self.shares.items():
                 self.owed[s] = self.owed.get(s, 0.0) + w * room
             offset = 0
             while offset < room:
-                live = [s for s in share if self.size[s]]
-                source = max(live, key=lambda s: self.owed[s])
+                live = [s for s, n in self.size.items() if n]
+                source = max(live, key=lambda s: self.owed.get(s, 0.0))
                 piece = self._take(source, min(self.quantum, room - offset))
-                self.owed[source] -= piece[3]
+                self.owed[source] = self.owed.get(source, 0.0) - piece[3]
                 yield (*piece[:5], self.sequence, offset, piece[5])
                 offset += piece[3]
             self.sequence += 1
@@ -96,7 +102,7 @@ SCHEMA = pa.schema([(c, {"long": pa.int64(), "int": pa.int32(), "double": pa.flo
 def _rows(pieces, part: int) -> pa.RecordBatch:
     """Pieces of windows as Arrow columns."""
     d, s, st, n, t, q, o, ids = zip(*pieces) if (pieces := list(pieces)) else [()] * 8
-    columns = [d, s, st, n, t, q, o, [part] * len(d), [None] * len(d), [x.tobytes() for x in ids]]
+    columns = [d, s, st, n, t, q, o, [part] * len(d), [None] * len(d), [x.astype("<u4").tobytes() for x in ids]]
     return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, SCHEMA)], schema=SCHEMA)
 
 
@@ -104,7 +110,7 @@ def _tail(pieces, part: int) -> pa.RecordBatch:
     """What a task leaves, with what each source is owed and no window."""
     d, s, st, n, t, ids, owed = zip(*pieces) if (pieces := list(pieces)) else [()] * 7
     none = [None] * len(d)
-    columns = [d, s, st, n, t, none, none, [part] * len(d), owed, [x.tobytes() for x in ids]]
+    columns = [d, s, st, n, t, none, none, [part] * len(d), owed, [x.astype("<u4").tobytes() for x in ids]]
     return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, SCHEMA)], schema=SCHEMA)
 
 
@@ -113,8 +119,8 @@ def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WI
 
     Every id of every document (null text: just ``eos``) is in exactly one
     piece; ids are little-endian unsigned 32-bit integers.  ``shares`` are
-    target token proportions by source; by default those of the documents at
-    hand, so that no source runs dry early.  A null source is a source of its
+    target token proportions by source; by default those of all documents, so
+    that no source runs dry early.  A null source is a source of its
     own; null ids and repeated rows are packed like others.  Columns other
     than doc_id, source and text are not read.  An empty table has no pieces.
     """
@@ -123,25 +129,43 @@ def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WI
     content = spark.sparkContext.broadcast(read_tokenizer(tokenizer_path))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), "text")
 
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enc = encoder(content.value)
+        end, schema = np.array([eos], enc.dtype), pa.schema([(f.name, f.type) for f in SCHEMA if f.name in CUT_COLUMNS])
+        rows, waiting = [], 0
+
+        def batch_of(rows):
+            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
+
+        for batch in batches:
+            ids, sources, texts = batch.columns
+            for i, s, tokens in zip(ids.to_pylist(), sources.to_pylist(), enc.encode_arrow(texts)):
+                tokens = np.concatenate((tokens, end))
+                for k in range(0, len(tokens), CHUNK):
+                    piece = tokens[k : k + CHUNK]
+                    rows.append((i, s, k, len(piece), len(tokens), piece.tobytes()))
+                waiting += len(tokens)
+                if waiting >= BLOCK:
+                    yield batch_of(rows)
+                    rows, waiting = [], 0
+        if rows:
+            yield batch_of(rows)
+        tidy()
+
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         part = TaskContext.get().partitionId()
-        enc = encoder(content.value)
-        end = np.array([eos], enc.dtype)
         packer, waiting = Packer(window, quantum, shares, part << 32), 0
         for batch in batches:
-            ids, sources, texts = batch.columns
-            for i, s, tokens in zip(ids.to_pylist(), sources.to_pylist(), enc.encode_arrow(texts)):
-                tokens = np.concatenate((tokens, end)).astype("<u4")
-                packer.add(i, s, 0, len(tokens), tokens)
-                waiting += len(tokens)
+            for i, s, start, length, doc_tokens, ids in zip(*(c.to_pylist() for c in batch.columns)):
+                packer.add(i, s, start, doc_tokens, np.frombuffer(ids, f"<u{len(ids) // length}"))
+                waiting += length
                 if waiting >= BLOCK:
-                    yield _rows(packer.windows(), part)
+                    yield _rows(packer.windows(wait=WAIT * BLOCK), part)
                     waiting = 0
-        yield _rows(packer.windows(), part)
+        yield _rows(packer.windows(wait=TAIL * window), part)
         yield _tail(packer.rest(), part)
-        tidy()
 
     def second(pieces: pa.Table) -> pa.Table:
         rows = sorted(pieces.to_pylist(), key=lambda r: (r["part"], r["source"] or "", -1 if r["doc_id"] is None else r["doc_id"], r["start"]))
@@ -154,8 +178,12 @@ def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WI
         return pa.Table.from_batches([_rows(packer.windows(last=True), group)])
 
     n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs, "text") >> 26)
-    dealt = docs.withColumn("h", F.xxhash64("doc_id", F.lit(11))).repartition(n, "h").sortWithinPartitions("h", "doc_id").drop("h")
-    made = save(dealt.select("doc_id", "source", "text").mapInArrow(first, PIECE), "pieces")
+    chunks = save(docs.mapInArrow(cut, CUT), "chunks")
+    if shares is None:
+        # one row a source
+        shares = {r.source: float(r.n) for r in chunks.groupBy("source").agg(F.sum("length").alias("n")).collect()}
+    dealt = chunks.withColumn("h", F.xxhash64("doc_id", "start", F.lit(11))).repartition(n, "h").sortWithinPartitions("h", "doc_id", "start").drop("h")
+    made = save(dealt.mapInArrow(first, PIECE), "pieces")
     tails = made.where("sequence_id is null").groupBy(F.floor(F.col("part") / TAILS)).applyInArrow(second, PIECE)
     return made.where("sequence_id is not null").unionByName(tails).drop("part", "owed")
 

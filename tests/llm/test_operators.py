@@ -318,6 +318,19 @@ def test_packing(docs, empty, ids, monkeypatch):
     assert packing.digest(empty, tokenizer_path()).count() == 0
 
 
+def test_windows_keep_the_shares_of_all_documents(spark, monkeypatch):
+    """One long document of a source among short ones of another: no run of windows holds one source."""
+    monkeypatch.setattr(packing, "BLOCK", 4096)
+    monkeypatch.setattr(packing, "CHUNK", 256)
+    rows = [(0, "one two three four " * 5000, "", "long", 1)] + [(k, "one two three four " * 25, "", "short", 1) for k in range(1, 201)]
+    held = defaultdict(Counter)
+    for p in packing.pack(spark.createDataFrame(rows, DOCS), tokenizer_path(), window=512, quantum=64).collect():
+        held[p.sequence_id][p.source] += p.length
+    share = sum(c["long"] for c in held.values()) / sum(sum(c.values()) for c in held.values())
+    off = [abs(c["long"] / sum(c.values()) - share) > 0.25 for c in held.values()]
+    assert sum(off) <= 0.05 * len(off)
+
+
 def test_packer_keeps_proportions():
     p = packing.Packer(1000, 50, {"a": 0.5, "b": 0.3, "c": 0.2}, 0)
     for s in "abc":
