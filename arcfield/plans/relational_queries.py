@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from arcfield.deploy import scratch
+from arcfield.deploy import save, scratch
 from arcfield.functions import measure as M
 from arcfield.operators import neighbors as N, zones as Z
 from arcfield.plans.zone_queries import arc_sql, chord_sql, with_views
@@ -304,6 +304,18 @@ def o_sort_space(spark, sf_dir):
     return c.withColumn("place", F.row_number().over(W.orderBy("zone", "ra", "obj_id")).cast("long")).select("obj_id", "zone", "place")
 
 
+@query("o_sort_space_whole", f"{with_views('sky_customer')} SELECT obj_id, zone, row_number() OVER (ORDER BY zone, ra, obj_id) AS place FROM (SELECT *, {_ZONE} AS zone FROM sky_customer) s")
+def o_sort_space_whole(spark, sf_dir):
+    """Every row with its place: range partitions, sorted, each with the count of those before it."""
+    keys = ("zone", "ra", "obj_id")
+    c = sky(spark, sf_dir, "sky_customer").withColumn("zone", Z.zone_of(F.col("dec"), 5.0)).select(*keys)
+    c = save(c.repartitionByRange(*keys).withColumn("range", F.spark_partition_id()), "sorted-space")
+    # one row a range
+    ahead = c.groupBy("range").agg(F.count("*").alias("n")).withColumn("ahead", F.sum("n").over(W.orderBy("range")) - F.col("n")).drop("n")
+    c = c.withColumn("within", F.row_number().over(W.partitionBy("range").orderBy(*keys)))
+    return c.join(F.broadcast(ahead), "range").select("obj_id", "zone", (F.col("ahead") + F.col("within")).alias("place"))
+
+
 _SETS = {"union": "UNION", "union_all": "UNION ALL", "intersect": "INTERSECT", "intersect_all": "INTERSECT ALL", "except": "EXCEPT", "except_all": "EXCEPT ALL"}
 for _name, _op in _SETS.items():
 

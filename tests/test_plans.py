@@ -4,6 +4,7 @@ import re
 
 from arcfield.deploy import scratch
 from arcfield.operators import neighbors as N, zones as Z
+from arcfield.plans.queries import QUERIES
 from arcfield.sources.catalog import sky
 from arcfield.sources.stores import ZoneStore
 
@@ -34,3 +35,9 @@ def test_entry_and_keys(spark):
 
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_whole_sort_places_every_row(spark, sf):
+    rows = QUERIES["o_sort_space_whole"](spark, sf).where("place is not null").collect()
+    n = sky(spark, sf, "sky_customer").count()
+    assert [r.place for r in sorted(rows, key=lambda r: r.place)] == list(range(1, n + 1))
