@@ -2,14 +2,19 @@
 
 Fingerprints: 64 bits, one majority vote per bit over XXH64 of the word
 shingles of a whole text.  Rows with equal fingerprints form one class, so a
-group of copies costs one index entry whatever its size.  Class fingerprints
-are dealt by masked bits: three differing bits leave one of four 16-bit
-blocks equal, and one of four 12-bit blocks of the rest, so sixteen masks of
-28 bits lose no link.  Within one masked value, fingerprints lie in Gray
-order; upper nodes hold the bits that all members share, and two nodes are
-compared by those shared bits alone: whole groups are pruned once the
-differences accumulated there pass the limit, or joined whole once all bits
-not shared cannot pass it.  Tasks return spanning edges, never pairs of copies.
+group of copies costs one index entry whatever its size.  Distinct
+fingerprints are range-partitioned by Gray rank into blocks.  The index is one
+hierarchy over that order: fingerprints, groups of FAN consecutive ones, groups
+of groups up to a block, blocks, groups of WIDE blocks up to the root.  A node
+holds the bits that all its members share, mask and pattern.
+
+The index joins itself from the root down: two nodes meet only if their
+parents did, and part for good, with all that lies below them, once the
+differences in the bits that both share pass the limit.  Above the blocks,
+node pairs are rows and a level is an equi-join on the parent; below, a task
+takes a block and a bounded number of the blocks that it meets, and goes on in
+arrays.  Two nodes whose unshared bits cannot pass the limit either are joined
+whole.  Tasks return spanning edges, never pairs of copies.
 """
 
 from __future__ import annotations
@@ -24,19 +29,9 @@ from pyspark.sql import functions as F
 from arcfield.deploy import save, ship
 from arcfield.llm.components import components
 
-BITS, LIMIT, LEAF, FAN = 64, 3, 32, 4
-
-
-def masks() -> list[int]:
-    """Sixteen masks: one 16-bit block and one 12-bit block of the other 48 bits."""
-    out = []
-    for i in range(4):
-        rest = [b for b in range(BITS) if b // 16 != i]
-        for j in range(4):
-            bits = [b for b in range(16 * i, 16 * i + 16)] + rest[12 * j : 12 * j + 12]
-            m = sum(1 << b for b in bits)
-            out.append(m - (1 << 64) if m >> 63 else m)
-    return out
+BITS, LIMIT = 64, 3
+#: Fingerprints of a block; children of a node inside a block and above; blocks a task compares its own with.
+BLOCK, FAN, WIDE, PARTNERS = 1 << 14, 2, 16, 16
 
 
 def gray_rank(x: np.ndarray) -> np.ndarray:
@@ -96,11 +91,10 @@ def _fold(label: np.ndarray, u: np.ndarray, v: np.ndarray) -> None:
             label[:] = up
 
 
-def _tree(fp: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Levels from leaves to root of (shared-bit mask, pattern) over Gray-ordered ``fp``."""
-    cuts = np.arange(0, len(fp), LEAF)
-    both, some = np.bitwise_and.reduceat(fp, cuts), np.bitwise_or.reduceat(fp, cuts)
-    levels = [(~(both ^ some), both)]
+def _levels(fp: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Levels from single fingerprints to the root of (shared-bit mask, pattern) over Gray-ordered ``fp``."""
+    both = some = fp
+    levels = [(np.full(len(fp), ~np.uint64(0)), fp)]
     while len(both) > 1:
         cuts = np.arange(0, len(both), FAN)
         both, some = np.bitwise_and.reduceat(both, cuts), np.bitwise_or.reduceat(some, cuts)
@@ -108,109 +102,142 @@ def _tree(fp: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
     return levels
 
 
-def _search(fp: np.ndarray, limit: int, label: np.ndarray) -> None:
-    """Join all of ``fp`` (Gray-ordered, distinct) within ``limit`` bits into ``label``."""
-    levels = _tree(fp)
-    stack = [(len(levels) - 1, np.zeros(1, np.int64), np.zeros(1, np.int64))]
+def _range(nodes: np.ndarray, span: int, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Members below each node, node after node, and their number for each."""
+    first = nodes * span
+    n = np.minimum(size, first + span) - first
+    return np.repeat(first - (np.cumsum(n) - n), n) + np.arange(n.sum()), n
+
+
+def gray_join(left: np.ndarray, right: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray, dict]:
+    """Spanning edges (u, v) of the links within ``limit`` bits between two Gray-ordered arrays, and counts.
+
+    The counts are node pairs that met (``met``), that their shared bits parted
+    (``parted``) and that were joined whole (``whole``), above single
+    fingerprints, and the pairs of fingerprints compared (``compared``).
+    """
+    n = len(left)
+    label = np.arange(n + len(right))
+    counts = {"met": 0, "parted": 0, "whole": 0, "compared": 0}
+    if not n or not len(right):
+        return left[:0], left[:0], counts
+    trees = [_levels(left), _levels(right)]
+    for t in trees:
+        t += [t[-1]] * (max(map(len, trees)) - len(t))
+    stack = [(len(trees[0]) - 1, np.zeros(1, np.int64), np.zeros(1, np.int64))]
+    held, waiting = [], 0
+    k = np.arange(FAN)
     while stack:
         depth, a, b = stack.pop()
         if len(a) > 1 << 16:
             half = len(a) // 2
             stack += [(depth, a[:half], b[:half]), (depth, a[half:], b[half:])]
             continue
-        mask, pattern = levels[depth]
-        apart = (pattern[a] ^ pattern[b]) & mask[a] & mask[b]
-        near = np.bitwise_count(apart) <= limit
-        a, b, apart = a[near], b[near], apart[near]
-        whole = np.bitwise_count(apart | ~mask[a] | ~mask[b]) <= limit
-        span = LEAF * FAN**depth
-        for x, y in zip(a[whole].tolist(), b[whole].tolist()):
-            low, high = np.arange(x * span, min(len(fp), (x + 1) * span)), np.arange(y * span, min(len(fp), (y + 1) * span))
-            every = np.concatenate((low, high))
-            _fold(label, np.full(len(every), every[0]), every)
-        a, b = a[~whole], b[~whole]
-        if not len(a):
-            continue
-        fan, size = (FAN, len(levels[depth - 1][0])) if depth else (LEAF, len(fp))
-        if not depth and len(a) > 512:
-            stack += [(0, a[i : i + 512], b[i : i + 512]) for i in range(0, len(a), 512)]
-            continue
-        k = np.arange(fan)
-        x = (a[:, None, None] * fan + k[None, :, None] + 0 * k[None, None, :]).ravel()
-        y = (b[:, None, None] * fan + k[None, None, :] + 0 * k[None, :, None]).ravel()
-        ok = (x < size) & (y < size) & ((x < y) if not depth else (x <= y))
-        x, y = x[ok], y[ok]
+        (ma, pa), (mb, pb) = (t[depth] for t in trees)
+        shared = ma[a] & mb[b]
+        apart = np.bitwise_count((pa[a] ^ pb[b]) & shared)
+        near = apart <= limit
+        counts["met" if depth else "compared"] += len(a)
+        if depth:
+            counts["parted"] += len(a) - int(near.sum())
+        a, b, shared, apart = a[near], b[near], shared[near], apart[near]
         if depth:
-            stack.append((depth - 1, x, y))
+            # differences so far and every bit that may still differ
+            whole = apart + np.bitwise_count(~shared) <= limit
+            counts["whole"] += int(whole.sum())
         else:
-            hit = np.bitwise_count(fp[x] ^ fp[y]) <= limit
-            _fold(label, x[hit], y[hit])
-
-
-def link_groups(key: np.ndarray, fp: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
-    """Spanning edges among equal ``key`` (contiguous, Gray-ordered within) of the links within ``limit`` bits."""
-    n = len(fp)
-    label = np.arange(n)
-    starts = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1]))) if n else np.zeros(0, np.int64)
-    sizes = np.diff(np.concatenate((starts, [n])))
-    for s, k in zip(starts[sizes > LEAF].tolist(), sizes[sizes > LEAF].tolist()):
-        own = np.arange(k)
-        _search(fp[s : s + k], limit, own)
-        label[s : s + k] = own + s
-    small = np.repeat(sizes <= LEAF, sizes)
-    group = np.repeat(np.arange(len(sizes)), sizes)
-    for d in range(1, int(sizes[sizes <= LEAF].max(initial=1))):
-        u = np.flatnonzero(small[:-d] & (group[:-d] == group[d:]))
-        if not len(u):
-            break
-        u = u[np.bitwise_count(fp[u] ^ fp[u + d]) <= limit]
-        _fold(label, u, u + d)
-    tied = np.flatnonzero(label != np.arange(n))
-    return fp[tied], fp[label[tied]]
-
-
-def _edges(limit: int):
-    def task(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held_k, held_f = np.zeros(0, np.int64), np.zeros(0, np.uint64)
-        held_i = np.zeros(0, np.int64)
-
-        def flush(i, k, f):
-            # (mask number, masked value) as one running group number
-            key = np.cumsum(np.concatenate(([0], (k[1:] != k[:-1]) | (i[1:] != i[:-1])))) if len(k) else k
-            a, b = link_groups(key, f, limit)
-            return pd.DataFrame({"a": a.view(np.int64), "b": b.view(np.int64)}).drop_duplicates()
-
-        for pdf in batches:
-            i = np.concatenate((held_i, pdf["i"].to_numpy(np.int64)))
-            k = np.concatenate((held_k, pdf["k"].to_numpy(np.int64)))
-            f = np.concatenate((held_f, pdf["fp"].to_numpy(np.int64).view(np.uint64)))
-            last = len(k)
-            if last:
-                open_ = np.flatnonzero((k != k[-1]) | (i != i[-1]))
-                last = open_[-1] + 1 if len(open_) else 0
-            if last:
-                yield flush(i[:last], k[:last], f[:last])
-            held_i, held_k, held_f = i[last:], k[last:], f[last:]
-        if len(held_k):
-            yield flush(held_i, held_k, held_f)
-
-    return task
+            whole = np.ones(len(a), bool)
+        if whole.any():
+            x, nx = _range(a[whole], FAN**depth, n)
+            y, ny = _range(b[whole], FAN**depth, len(right))
+            first = a[whole] * FAN**depth
+            held += [(np.repeat(first, nx), x), (np.repeat(first, ny), y + n)]
+            waiting += len(x) + len(y)
+            if waiting > 1 << 20:
+                _fold(label, *(np.concatenate(c) for c in zip(*held)))
+                held, waiting = [], 0
+        a, b = a[~whole], b[~whole]
+        if len(a):
+            x = (a[:, None, None] * FAN + k[None, :, None] + 0 * k[None, None, :]).ravel()
+            y = (b[:, None, None] * FAN + k[None, None, :] + 0 * k[None, :, None]).ravel()
+            ok = (x < len(trees[0][depth - 1][0])) & (y < len(trees[1][depth - 1][0]))
+            stack.append((depth - 1, x[ok], y[ok]))
+    if held:
+        _fold(label, *(np.concatenate(c) for c in zip(*held)))
+    every = np.concatenate((left, right))
+    u, v = every, every[label]
+    return u[u != v], v[u != v], counts
+
+
+def _cut(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Blocks of one range of Gray ranks: place, bits set in all and in any member, members."""
+    from pyspark import TaskContext
+
+    fp = [p["fp"].to_numpy(np.int64) for p in parts]
+    fp = np.concatenate(fp).view(np.uint64) if fp else np.zeros(0, np.uint64)
+    if not len(fp):
+        return
+    blocks = np.array_split(fp, max(1, round(len(fp) / BLOCK)))
+    both, some = ([f(b).view(np.int64) for b in blocks] for f in (np.bitwise_and.reduce, np.bitwise_or.reduce))
+    yield pd.DataFrame({"part": TaskContext.get().partitionId(), "seq": range(len(blocks)), "both": both, "some": some, "fps": [b.tobytes() for b in blocks]})
+
+
+def gray_blocks(classes: DataFrame) -> DataFrame:
+    """(node, both, some, fps): the distinct column ``fp`` in Gray order, cut into blocks; nodes ascend with rank."""
+    spark = classes.sparkSession
+    g = F.col("fp")
+    for s in (1, 2, 4, 8, 16, 32):
+        g = g.bitwiseXOR(F.shiftrightunsigned(g, s))
+    # ranks are unsigned
+    ranked = classes.select("fp", g.bitwiseXOR(F.lit(-(1 << 63))).alias("g"))
+    n = classes.count()
+    parts = max(1, -(-n // (BLOCK << 6)), min(-(-n // BLOCK), int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    ranged = ranked.repartitionByRange(parts, "g").sortWithinPartitions("g").select("fp")
+    blocks = save(ranged.mapInPandas(_cut, "part int, seq int, both long, some long, fps binary"), "gray-blocks")
+    most = int(blocks.agg(F.max("seq")).first()[0] or 0) + 1
+    return blocks.select((F.col("part").cast("long") * most + F.col("seq")).alias("node"), "both", "some", "fps")
+
+
+def meeting_blocks(blocks: DataFrame, limit: int) -> DataFrame:
+    """(a, b), a <= b: blocks that no node above them parts, level by level from the root."""
+    level = blocks.select("node", "both", "some")
+    levels, top = [level], int(level.agg(F.max("node")).first()[0] or 0)
+    while top:
+        level = level.groupBy(F.floor(F.col("node") / WIDE).alias("node")).agg(F.bit_and("both").alias("both"), F.bit_or("some").alias("some"))
+        levels.append(level)
+        top //= WIDE
+    met = blocks.sparkSession.range(1).select(F.lit(0).cast("long").alias("a"), F.lit(0).cast("long").alias("b"))
+    for level in reversed(levels[:-1]):
+        a, b = (level.select(F.floor(F.col("node") / WIDE).alias(f"up_{k}"), F.col("node").alias(f"{k}_"), F.col("both").alias(f"{k}_both"), F.col("some").alias(f"{k}_some")) for k in "ab")
+        shared = F.bitwise_not(F.col("a_both").bitwiseXOR(F.col("a_some")).bitwiseOR(F.col("b_both").bitwiseXOR(F.col("b_some"))))
+        apart = F.bit_count(F.col("a_both").bitwiseXOR(F.col("b_both")).bitwiseAND(shared))
+        met = met.join(a, met.a == F.col("up_a")).join(b, met.b == F.col("up_b")).where((F.col("a_") <= F.col("b_")) & (apart <= limit))
+        met = met.select(F.col("a_").alias("a"), F.col("b_").alias("b"))
+    return met
 
 
 def near_links(classes: DataFrame, limit: int = LIMIT) -> DataFrame:
-    """(a, b): spanning edges of all links within ``limit`` <= 3 bits among the distinct column ``fp``."""
-    if not 0 <= limit <= 3:
-        raise ValueError("the masks keep every link only up to 3 differing bits")
-    ship(classes.sparkSession)
-    keys = F.array(*[F.struct(F.lit(i).alias("i"), F.col("fp").bitwiseAND(F.lit(m)).alias("k")) for i, m in enumerate(masks())])
-    dealt = classes.select("fp", F.explode(keys).alias("x")).select(F.col("x.i").alias("i"), F.col("x.k").alias("k"), "fp", F.xxhash64("x.i", "x.k").alias("h"))
-    dealt = dealt.withColumn("g", F.col("fp"))
-    for s in (1, 2, 4, 8, 16, 32):
-        dealt = dealt.withColumn("g", F.col("g").bitwiseXOR(F.shiftrightunsigned("g", s)))
-    dealt = dealt.select("h", "i", "k", "g", "fp")
-    n = int(dealt.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = dealt.repartition(n, "h").sortWithinPartitions("i", "k", "g").select("i", "k", "fp")
-    return dealt.mapInPandas(_edges(limit), "a long, b long").distinct()
+    """(a, b): spanning edges of all links within ``limit`` bits among the distinct column ``fp``."""
+    spark = classes.sparkSession
+    ship(spark)
+    blocks = gray_blocks(classes)
+    met = save(meeting_blocks(blocks, limit), "gray-meetings")
+    # either block may take the other; turns even out what each has to do
+    turn = (F.col("a") + F.col("b")) % 2 == 0
+    met = met.select(F.when(turn, F.col("a")).otherwise(F.col("b")).alias("own"), F.when(turn, F.col("b")).otherwise(F.col("a")).alias("node"))
+    met = met.withColumn("chunk", F.floor(F.col("node") / PARTNERS))
+    mine = met.select("own", "chunk").distinct().select("own", "chunk", F.lit(True).alias("is_own"), F.col("own").alias("node"))
+    asked = mine.unionByName(met.select("own", "chunk", F.lit(False).alias("is_own"), "node")).join(blocks.select("node", "fps"), "node")
+    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), met.count() * BLOCK * 8 >> 26)
+
+    def meet(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("node")
+        own = np.frombuffer(pdf.loc[pdf["is_own"], "fps"].iloc[0], np.uint64)
+        others = np.frombuffer(b"".join(pdf.loc[~pdf["is_own"], "fps"]), np.uint64)
+        u, v, _ = gray_join(own, others, limit)
+        return pd.DataFrame({"a": u.view(np.int64), "b": v.view(np.int64)})
+
+    return asked.repartition(n, "own", "chunk").groupBy("own", "chunk").applyInPandas(meet, "a long, b long").distinct()
 
 
 def simhash_components(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 3, limit: int = LIMIT) -> DataFrame:

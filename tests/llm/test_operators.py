@@ -94,34 +94,76 @@ def test_simhash(docs, empty):
     assert {r.doc_id for r in kept.collect()} == {i for i in ids if find(i) == i}
 
 
-def test_simhash_index_finds_every_link():
+def gray_sorted(x):
+    x = np.unique(x)
+    return x[np.argsort(simhash.gray_rank(x))]
+
+
+def brute_components(g, limit):
+    want = np.arange(len(g))
+    for at in range(0, len(g), 2000):
+        u, v = np.nonzero(np.bitwise_count(g[at : at + 2000, None] ^ g[None]) <= limit)
+        simhash._fold(want, u + at, v)
+    return want
+
+
+def edge_components(g, u, v):
+    place = {int(x): k for k, x in enumerate(g.tolist())}
+    got = np.arange(len(g))
+    simhash._fold(got, *(np.array([place[int(x)] for x in c], np.int64) for c in (u, v)))
+    return got
+
+
+@pytest.mark.parametrize("limit", [0, 3, 6])
+def test_gray_join_finds_every_link(limit):
     rng = np.random.default_rng(1)
     base = rng.integers(0, 2**63, 40, dtype=np.uint64)
     x = base[rng.integers(0, 40, 4000)]
     for _ in range(3):
         x = x ^ (np.uint64(1) << rng.integers(0, 64, len(x)).astype(np.uint64)) * (rng.random(len(x)) < 0.8)
-    x = np.unique(x)
-    g = x[np.argsort(simhash.gray_rank(x))]
-    own = np.arange(len(g))
-    simhash._search(g, 3, own)
-    u, v = np.nonzero(np.bitwise_count(g[:, None] ^ g[None]) <= 3)
-    want = np.arange(len(g))
-    simhash._fold(want, u, v)
-    assert (own == want).all()
-
-
-def test_simhash_masks_lose_no_link(spark):
+    g = gray_sorted(x)
+    u, v, _ = simhash.gray_join(g, g, limit)
+    assert (edge_components(g, u, v) == brute_components(g, limit)).all()
+    # two halves meet as well, and an empty side has no links
+    cut = len(g) // 3
+    parts = [simhash.gray_join(a, b, limit)[:2] for a, b in ((g[:cut], g[:cut]), (g[:cut], g[cut:]), (g[cut:], g[cut:]))]
+    u, v = (np.concatenate(c) for c in zip(*parts))
+    assert (edge_components(g, u, v) == brute_components(g, limit)).all()
+    assert not len(simhash.gray_join(g, g[:0], limit)[0])
+
+
+def test_near_groups_are_joined_whole():
+    g = gray_sorted(np.array([b << 40 | a for a in (0, 1, 2, 3) for b in (5, 1 << 20)], np.uint64))
+    u, v, counts = simhash.gray_join(g, g, 4)
+    assert counts["whole"] > 0
+    assert (edge_components(g, u, v) == brute_components(g, 4)).all()
+
+
+@pytest.mark.parametrize("block", [16, 1 << 14])
+def test_blocks_meet_from_the_root_down(spark, monkeypatch, block):
+    monkeypatch.setattr(simhash, "BLOCK", block)
     rng = random.Random(3)
     rows = []
-    for k in range(60):
+    for k in range(300):
         a = rng.getrandbits(64)
         b = a
         for bit in rng.sample(range(64), rng.randint(1, 3)):
             b ^= 1 << bit
         rows += [(v - (1 << 64) if v >> 63 else v,) for v in (a, b)]
-    links = simhash.near_links(spark.createDataFrame(rows, "fp long"))
-    found = {frozenset(r) for r in links.collect()}
-    assert {frozenset((rows[2 * k][0], rows[2 * k + 1][0])) for k in range(60)} <= found
+    links = simhash.near_links(spark.createDataFrame(rows, "fp long")).toPandas()
+    g = gray_sorted(np.array([r[0] for r in rows], np.int64).view(np.uint64))
+    u, v = (links[c].to_numpy(np.int64).view(np.uint64) for c in "ab")
+    assert (edge_components(g, u, v) == brute_components(g, 3)).all()
+
+
+def test_upper_nodes_part_most_pairs_of_the_documents(spark):
+    """Over all fingerprints of the documents: every link, and few of the pairs compared."""
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
+    fp = simhash.fingerprints(docs).select("fp").distinct().toPandas()["fp"].to_numpy(np.int64)
+    g = gray_sorted(fp.view(np.uint64))
+    u, v, counts = simhash.gray_join(g, g, 3)
+    assert (edge_components(g, u, v) == brute_components(g, 3)).all()
+    assert counts["parted"] > counts["met"] / 2 and counts["compared"] < len(g) ** 2 / 50
 
 
 def test_components(spark):
