@@ -206,7 +206,7 @@ def meeting_blocks(blocks: DataFrame, limit: int) -> DataFrame:
         level = level.groupBy(F.floor(F.col("node") / WIDE).alias("node")).agg(F.bit_and("both").alias("both"), F.bit_or("some").alias("some"))
         levels.append(level)
         top //= WIDE
-    met = blocks.sparkSession.range(1).select(F.lit(0).cast("long").alias("a"), F.lit(0).cast("long").alias("b"))
+    met = levels[-1].select(F.col("node").alias("a"), F.col("node").alias("b"))
     for level in reversed(levels[:-1]):
         a, b = (level.select(F.floor(F.col("node") / WIDE).alias(f"up_{k}"), F.col("node").alias(f"{k}_"), F.col("both").alias(f"{k}_both"), F.col("some").alias(f"{k}_some")) for k in "ab")
         shared = F.bitwise_not(F.col("a_both").bitwiseXOR(F.col("a_some")).bitwiseOR(F.col("b_both").bitwiseXOR(F.col("b_some"))))
