@@ -534,17 +534,67 @@ def test_bootstrap_tests_every_pattern(spark):
         assert got == {2100: [("email", 10, 25)]}
 
 
-def test_context_is_two_whole_words(spark):
+def test_contexts_are_whole_words(spark):
     long = "u" * 130
-    rows = [(0, f"see {long} at 1.2.3.4"), (1, f"a b {long} 1.2.3.4"), (2, f"{long} 1.2.3.4"), (3, "one two 1.2.3.4"), (4, "w " * 100 + "One\n Two \t1.2.3.4"), (5, "a b (1.2.3.4"), (6, "1.2.3.4")]
-    got = {r.i: r.c for r in spark.createDataFrame(rows, "i long, t string").select("i", pii._context(F.col("t"), F.instr("t", "1.2.3.4") - 1).alias("c")).collect()}
-    assert got == {0: f"{long} at", 1: f"b {long}", 2: "", 3: "one two", 4: "one two", 5: "", 6: ""}
-
-
-def test_introduced_words_are_counted_exactly(spark):
-    docs = spark.createDataFrame([(" ".join(f"my key n{k}" for k in range(3000)),)], "text string")
-    asked = spark.createDataFrame([("my key",)], "context string")
-    assert [pii._introduced(docs, asked, most).first().introduced for most in (1, 0)] == [3000, 3000]
+    rows = [(0, f"see {long} at 1.2.3.4"), (1, f"a b {long} 1.2.3.4 c"), (2, f"{long} 1.2.3.4"), (3, "w " * 100 + "One\n Two \t1.2.3.4, Three\tfour five"), (4, "a b (1.2.3.4) c"), (5, "1.2.3.4"), (6, "x Host=1.2.3.4"), (7, "x Id=q7 y")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    found = pii.mentions(pii.placed(pii.matches(docs))).join(pii.matches(docs).select("rid", "doc_id"), "rid")
+    got = {r.doc_id: (r.m, set(r.contexts)) for r in found.collect()}
+    ip = "1.2.3.4"
+    assert got[0] == (ip, {"< at", f"<< {long} at"})
+    assert got[1] == (ip, {f"< {long}", f"<< b {long}", "> c"})
+    assert got[2] == (ip, {f"< {long}"})
+    assert got[3] == (ip, {"< two", "<< one two", "> three", ">> three four"})
+    assert got[4] == (ip, {"< b", "<< a b", "> c"})
+    assert got[5] == (ip, set())
+    assert got[6] == (ip, {"< x", "= host="})
+    assert got[7] == ("q7", {"< x", "> y", "= id="})
+
+
+@pytest.mark.parametrize("most", [10, 0])
+def test_places_of_patterns_are_counted_exactly(spark, most):
+    texts = [" ".join(f"My\tkey n{k}" for k in range(300)), "my key", " my  key x=1 key", None, "", "X=2 x= key=3"]
+    docs = spark.createDataFrame([(t,) for t in texts], "text string")
+    want = Counter()
+    for t in texts:
+        w = words((t or "").lower())
+        for i, x in enumerate(w):
+            want += Counter([f"< {w[i - 1]}"] * (i > 0) + ["<< " + " ".join(w[i - 2 : i])] * (i > 1))
+            want += Counter(["> " + " ".join(w[i + 1 : i + 2])] * (i + 1 < len(w)) + [">> " + " ".join(w[i + 1 : i + 3])] * (i + 2 < len(w)))
+            key = re.match("[^=:]*[=:](?=.)", x)
+            want += Counter([f"= {key.group()}"] if key else [])
+    asked = ["< key", "<< my key", "> my", ">> my key", "= x=", "= key=", "< n7", "> absent"]
+    got = {r.context: r.places for r in pii.marked_places(docs, spark.createDataFrame([(a,) for a in asked], "context string"), most).collect()}
+    assert got == {a: want[a] for a in asked if want[a]}
+
+
+def test_bootstrap_learns_from_both_sides_and_keys(spark):
+    rng = random.Random(5)
+    filler = lambda n: " ".join(f"w{rng.choice('abcdefgh')}{rng.choice('xyz')}" for _ in range(n))
+    digest = lambda: "".join(rng.choice("0123456789abcdef") for _ in range(40))
+    rows = [(i, f"{filler(6)} 10.0.{i}.7 is reachable {filler(4)}", "", "", 1) for i in range(20)]
+    rows += [(50 + i, f"{filler(4)} host=10.9.{i}.8 {filler(4)}", "", "", 1) for i in range(20)]
+    rows += [(100 + i, f'{filler(4)} token = "{digest()}" {filler(3)}', "", "", 1) for i in range(20)]
+    unseen = {200: (f"{filler(5)} node7 is reachable {filler(2)}", "ip", "node7"), 201: (f"{filler(5)} host=box9.lan {filler(2)}", "ip", "box9.lan"), 202: (f'{filler(2)} token = "abc-12" {filler(2)}', "secret", "abc-12")}
+    rows += [(i, t, "", "", 1) for i, (t, *_) in unseen.items()]
+    # digests and numbers in free text are left alone
+    rows += [(300 + i, f"{filler(5)} {digest()} {filler(3)} {i * 17} {filler(2)}", "", "", 1) for i in range(20)]
+    got = by_id(pii.digest(spark.createDataFrame(rows, DOCS).repartition(3)))
+    for i, (t, kind, m) in unseen.items():
+        at = t.index(m)
+        assert got[i].spans == f"{kind}:{at}:{at + len(m)}"
+    assert all(got[i].spans == "" for i in range(300, 320))
+    assert all(got[100 + i].n_spans == 1 and got[100 + i].spans.startswith("secret:") for i in range(20))
+    assert all(got[i].n_ip == 1 and got[i].n_spans == 1 for i in (*range(20), *range(50, 70)))
+
+
+def test_pii_edges(spark):
+    """Null and repeated ids, clashing columns, a text of numbers alone."""
+    numbers = " ".join(str(k * 7919 % 100003) for k in range(30_000))
+    rows = [(None, "a@b.com", 1, "x"), (1, "a@b.com", 1, "x"), (1, "a@b.com", 1, "x"), (2, numbers, 1, "x"), (3, None, 1, "x")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, rid long, kind string")
+    got = Counter((r.doc_id, r.n_email, r.n_spans) for r in pii.digest(df).collect())
+    assert got == {(None, 1, 1): 1, (1, 1, 1): 2, (2, 0, 0): 1, (3, 0, 0): 1}
 
 
 def test_native_operators_have_no_python(docs):
