@@ -7,6 +7,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -233,14 +234,52 @@ def brute_substrings(rows):
     return out
 
 
-def test_substrings(docs, empty):
-    want = brute_substrings(ROWS)
-    for common in (64, 2):  # the longer prefix too
-        rows = substring_dedup.dedup_substrings(docs, common).collect()
-        assert {r.doc_id: (r.n_words, r.n_removed, hashlib.sha256(r.kept.encode()).hexdigest()) for r in rows} == want
+@pytest.mark.parametrize("most", [substring_dedup.SUBTREE, 1])  # the longer prefix too
+def test_substrings(docs, empty, most):
+    rows = substring_dedup.dedup_substrings(docs, subtree_size=most).collect()
+    assert {r.doc_id: (r.n_words, r.n_removed, hashlib.sha256(r.kept.encode()).hexdigest()) for r in rows} == brute_substrings(ROWS)
+    for r in rows:
+        gone = {k for x in r.repeats for k in range(x.start, x.start + x.length)}
+        assert len(gone) == r.n_removed and all(x.first_doc < r.doc_id for x in r.repeats)
     assert substring_dedup.digest(empty).count() == 0
 
 
+@pytest.mark.parametrize("width", [2, 5, 6, 7, 13, 16, 20])
+def test_subtree_nodes(width):
+    rng = np.random.default_rng(width)
+    sym = rng.integers(0, 2, 3000) if width > 6 else rng.integers(0, 9, 3000)
+    starts = np.sort(rng.choice(3000 - width, 1500, replace=False))
+    doc = rng.integers(0, 50, 1500)
+    order, first = substring_dedup.subtree(sym, starts, doc, width)
+    key = [tuple(sym[s : s + width]) for s in starts]
+    assert [key[k] for k in order] == sorted(key)
+    firsts = {}
+    for k in range(1500):
+        firsts[key[k]] = min(firsts.get(key[k], (99, 0)), (doc[k], starts[k]))
+    of = substring_dedup._least(order, first)
+    assert all((doc[f], starts[f]) == firsts[key[k]] for k, f in zip(order, of))
+
+
+def test_repeats_are_maximal(spark):
+    """A passage of 40 words, once with other words around it; another width; both prefixes."""
+    p = [f"p{k}" for k in range(40)]
+    rows = [(1, "a b " + " ".join(p) + " c"), (2, "x " + " ".join(p[5:]) + " y " + " ".join(p[:9])), (3, " ".join(p[:8]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for most in (substring_dedup.SUBTREE, 1):
+        got = {r.doc_id: [tuple(x) for x in r.repeats] for r in substring_dedup.dedup_substrings(df, subtree_size=most).collect()}
+        assert got == {1: [], 2: [(1, 35, 1)], 3: []}
+        got = {r.doc_id: [tuple(x) for x in r.repeats] for r in substring_dedup.dedup_substrings(df, width=8, subtree_size=most).collect()}
+        assert got == {1: [], 2: [(1, 35, 1), (37, 9, 1)], 3: [(0, 8, 1)]}
+
+
+def test_prefixes_grow_where_subtrees_would_not_fit():
+    size = lambda n: np.full(n, 3, np.uint8).tobytes()
+    v = lambda *x: np.array(x, "<u8").tobytes()
+    told = substring_dedup._meet_anchors(16)(pd.DataFrame({"block": [0, 1, 2], "v": [v(7, 8), v(7, 8), v(7, 9)], "size": [size(2), size(2), size(2)]}))
+    got = {r.block: (np.frombuffer(r.few, "<u8").tolist(), np.frombuffer(r.many, "<u8").tolist()) for r in told.itertuples()}
+    assert got == {0: ([8], [7]), 1: ([8], [7]), 2: ([], [7])}
+
+
 def test_substring_null_and_repeated_ids(spark):
     t = " ".join(f"v{k}" for k in range(20))
     rows = [(None, t, "", "", 1), (4, t, "", "", 1), (4, t, "", "", 1), (6, t, "", "", 1)]
