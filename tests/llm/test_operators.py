@@ -511,6 +511,40 @@ def test_vectors(spark):
     assert vector_dedup.dedup_vectors(none).count() == 0
 
 
+@pytest.mark.parametrize("unit", [8, 2048])
+def test_units_lose_no_link(spark, monkeypatch, unit):
+    """Many units, large lists in several, and every cosine against brute force."""
+    monkeypatch.setattr(vector_dedup, "UNIT_ROWS", unit)
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(30, 12))[rng.integers(0, 30, 400)] + rng.normal(scale=0.15, size=(400, 12))
+    rows = [(k, v.tolist(), k % 2, "other") for k, v in enumerate(x)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int, cid string")
+    got = {r.vec_id: r.n_links for r in vector_dedup.dedup_vectors(df).collect()}
+    cos = x @ x.T / np.outer(*[np.linalg.norm(x, axis=1)] * 2)
+    near = (cos >= 0.98) & (np.arange(400)[:, None] % 2 == np.arange(400)[None] % 2) & ~np.eye(400, dtype=bool)
+    assert [got[k] for k in range(400)] == near.sum(1).tolist() and near.sum() > 100
+
+
+def test_codes_pass_every_link_and_few_others():
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(900, 32))
+    x[450:] = x[:450] + rng.normal(scale=0.05, size=(450, 32))
+    q = vector_dedup.fit(vector_dedup._unit(x), 20)
+    u, v, passed = vector_dedup.search(q, x, x, 0.98, same=True)
+    cos = x @ x.T / np.outer(*[np.linalg.norm(x, axis=1)] * 2)
+    np.fill_diagonal(cos, 0)
+    assert set(zip(u.tolist(), v.tolist())) == set(zip(*(k.tolist() for k in np.nonzero(cos >= 0.98))))
+    assert len(u) == 900 and passed < 900 * 900 / 4
+
+
+def test_vectors_of_repeated_ids(spark):
+    """Two unlike vectors share an id, each with a partner; a row twice; a null id."""
+    a, b = [1.0, 0.0, 0.0, 0.0], [0.0, 1.0, 0.0, 0.0]
+    rows = [(1, a, 0), (1, b, 0), (2, [1.0, 0.01, 0.0, 0.0], 0), (3, [0.0, 1.0, 0.01, 0.0], 0), (5, [0.0, 0.0, 0.0, 2.0], 0), (5, [0.0, 0.0, 0.0, 2.0], 0), (None, a, 0)]
+    got = Counter(tuple(r) for r in vector_dedup.dedup_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")).collect())
+    assert got == {(1, 1, 1, True): 2, (2, 1, 1, False): 1, (3, 1, 1, False): 1, (5, 1, 5, True): 2, (None, 0, None, True): 1}
+
+
 # op9
 
 PATTERNS = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
