@@ -4,12 +4,14 @@ Targets are the token shares of the sources over all documents.  Texts are
 encoded once and cut into chunks, which are dealt by hash, so each task sees
 every source, whatever the order and lengths of the documents.  It queues the
 tokens of a block by source; each window adds every source's share to its
-deficit, and the source that is owed most is served a quantum at a time until
-the window is full.  Where a source that is due has run dry, the others wait
-for the next block.  What a source is owed or has overdrawn passes to the next
-window and block; at the end of a task the last tokens of all queues and the
-deficits pass on to a second round, which packs the tails of many tasks
-together.  Only a tail group's last window is padded.
+deficit and serves each source its deficit, the one that is owed most first; a
+source that is owed less than a quantum waits for a later window.  Where a
+source that is due has run dry, the others wait for the next block.  What a
+source is owed or has overdrawn passes to the next window and block; at the
+end of a task the last tokens of all queues and the deficits of all sources
+pass on to a second round, which packs the tails of many tasks together and
+spreads the deficits over its windows.  Only a tail group's last window is
+padded.
 """
 
 from __future__ import annotations
@@ -25,11 +27,11 @@ from pyspark.sql import functions as F
 from arcfield.deploy import plan_bytes, save, ship
 from arcfield.llm.tokens import encoder, read_tokenizer, tidy
 
-WINDOW, QUANTUM, BLOCK = 2048, 256, 1 << 20
+WINDOW, QUANTUM, BLOCK = 2048, 32, 1 << 20
 #: Tokens of a document that are dealt together; blocks that may wait for a source that is due.
 CHUNK, WAIT = 1 << 13, 4
 #: Tasks whose tails are packed together, and windows a tail may have: at most TAILS * TAIL * WINDOW tokens.
-TAILS, TAIL = 256, 4
+TAILS, TAIL = 16, 256
 CUT = "doc_id long, source string, start long, length long, doc_tokens long, ids binary"
 CUT_COLUMNS = [c.split()[0] for c in CUT.split(", ")]
 PIECE = "doc_id long, source string, start long, length long, doc_tokens long, sequence_id long, offset long, part int, owed double, ids binary"
@@ -80,20 +82,38 @@ class Packer:
             for s, w in self.shares.items():
                 self.owed[s] = self.owed.get(s, 0.0) + w * room
             offset = 0
-            while offset < room:
-                live = [s for s, n in self.size.items() if n]
-                source = max(live, key=lambda s: self.owed.get(s, 0.0))
-                piece = self._take(source, min(self.quantum, room - offset))
-                self.owed[source] = self.owed.get(source, 0.0) - piece[3]
-                yield (*piece[:5], self.sequence, offset, piece[5])
-                offset += piece[3]
+            for source, due in self._allot(room):
+                self.owed[source] = self.owed.get(source, 0.0) - due
+                while due:
+                    piece = self._take(source, due)
+                    yield (*piece[:5], self.sequence, offset, piece[5])
+                    offset += piece[3]
+                    due -= piece[3]
             self.sequence += 1
 
+    def _allot(self, room: int) -> list[tuple]:
+        """(source, tokens) for a window of ``room`` tokens: what each is owed, then quanta to those owed most."""
+        live = sorted((s for s, n in self.size.items() if n), key=lambda s: (-self.owed.get(s, 0.0), s or ""))
+        given = {}
+        for s in live:
+            due = min(int(self.owed.get(s, 0.0)), self.size[s], room)
+            given[s] = due if due >= min(self.quantum, self.size[s]) else 0
+            room -= given[s]
+        # those that wait leave room, as do fractions of a token
+        while room:
+            s = max((s for s in live if self.size[s] > given[s]), key=lambda s: self.owed.get(s, 0.0) - given[s])
+            n = min(room, self.quantum, self.size[s] - given[s])
+            given[s] += n
+            room -= n
+        return [(s, n) for s, n in given.items() if n]
+
     def rest(self):
-        """What no window took, with what its source is owed."""
+        """What no window took, and a row without tokens for each source with what it is owed."""
         for s, q in self.queues.items():
             for doc_id, start, doc_tokens, ids in q:
-                yield doc_id, s, start, len(ids), doc_tokens, ids, self.owed.get(s, 0.0)
+                yield doc_id, s, start, len(ids), doc_tokens, ids, None
+        for s, owed in self.owed.items():
+            yield None, s, None, 0, None, np.zeros(0, "<u4"), owed
 
 
 SCHEMA = pa.schema([(c, {"long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "string": pa.string(), "binary": pa.binary()}[t]) for c, t in (x.split() for x in PIECE.split(", "))])
@@ -168,12 +188,15 @@ def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WI
         yield _tail(packer.rest(), part)
 
     def second(pieces: pa.Table) -> pa.Table:
-        rows = sorted(pieces.to_pylist(), key=lambda r: (r["part"], r["source"] or "", -1 if r["doc_id"] is None else r["doc_id"], r["start"]))
+        rows = pieces.to_pylist()
         group = rows[0]["part"] // TAILS
-        packer = Packer(window, quantum, shares, (group + (1 << 30)) << 32)
-        for (_, source), owed in {(r["part"], r["source"]): r["owed"] for r in rows}.items():
-            packer.owed[source] = packer.owed.get(source, 0.0) + owed
-        for r in rows:
+        # what the sources are owed is spread over all windows of the tail
+        left, total = sum(r["length"] for r in rows), sum(shares.values()) or 1.0
+        due = {s: left * w / total for s, w in shares.items()}
+        for r in sorted((r for r in rows if not r["length"]), key=lambda r: (r["part"], r["source"] or "")):
+            due[r["source"]] = due.get(r["source"], 0.0) + r["owed"]
+        packer = Packer(window, quantum, {s: max(0.0, n) for s, n in due.items()}, (group + (1 << 30)) << 32)
+        for r in sorted((r for r in rows if r["length"]), key=lambda r: (r["part"], r["source"] or "", -1 if r["doc_id"] is None else r["doc_id"], r["start"])):
             packer.add(r["doc_id"], r["source"], r["start"], r["doc_tokens"], np.frombuffer(r["ids"], "<u4"))
         return pa.Table.from_batches([_rows(packer.windows(last=True), group)])
 
