@@ -166,27 +166,25 @@ def _contexts(l1: str, l2: str, r1: str, r2: str, key: str) -> Column:
 def marked_places(docs: DataFrame, patterns: DataFrame, most: int = MOST_BROADCAST) -> DataFrame:
     """(context, places): how often each of ``patterns`` marks a word, over all texts.
 
-    A place is looked at where its neighbour is one that a pattern names.  Up to
-    ``most`` patterns are broadcast; more meet the counted places in a shuffle.
+    Up to ``most`` patterns are broadcast; more meet the counted places in a
+    shuffle.
     """
     asked = patterns.select("context", F.split("context", " ").alias("p"))
-    mark, first, last = F.get("p", F.lit(0)), F.get("p", F.lit(1)), F.get("p", F.size("p") - 1)
     small = patterns.count() <= most
     t = F.lower(F.btrim(F.coalesce("text", F.lit("")), F.lit(" \t\n\x0b\x0c\r")))
     w = docs.select(F.split(t, rf"[{_BLANK}]++").alias("w"))
     none = F.lit("")
     w = w.select("w", F.concat(F.array(none), "w").alias("l1"), F.concat(F.array(none, none), "w").alias("l2"), F.slice("w", F.lit(2), F.size("w")).alias("r1"), F.slice("w", F.lit(3), F.size("w")).alias("r2"))
-    w = w.select(F.inline(F.arrays_zip("w", "l1", "l2", "r1", "r2"))).where("w is not null")
-    if small:
-        names = {"before": last.alias("l1"), "after": first.alias("r1")}
-        for side, marks in (("before", ("<", "<<")), ("after", (">", ">>"))):
-            near = asked.where(mark.isin(*marks)).select(names[side]).distinct().withColumn(side, F.lit(True))
-            w = w.join(F.broadcast(near), near.columns[0], "left")
-        w = w.where(F.col("before").isNotNull() | F.col("after").isNotNull() | F.contains("w", F.lit("=")) | F.contains("w", F.lit(":")))
-    places = w.withColumn("key", F.regexp_extract("w", _KEY, 0)).select(F.explode(_contexts("l1", "l2", "r1", "r2", "key")).alias("context"))
-    if small:
-        return places.join(F.broadcast(patterns.select("context")), "context").groupBy("context").agg(F.count("*").alias("places"))
-    return places.groupBy("context").agg(F.count("*").alias("places")).join(patterns.select("context"), "context")
+    w = w.select(F.inline(F.arrays_zip("w", "l1", "l2", "r1", "r2"))).where("w is not null").withColumn("key", F.regexp_extract("w", _KEY, 0))
+    if not small:
+        places = w.select(F.explode(_contexts("l1", "l2", "r1", "r2", "key")).alias("context"))
+        return places.groupBy("context").agg(F.count("*").alias("places")).join(patterns.select("context"), "context")
+    shapes = {"<": ("l1",), "<<": ("l2", "l1"), ">": ("r1",), ">>": ("r1", "r2"), "=": ("key",)}
+    for k, (mark, names) in enumerate(shapes.items()):
+        of_shape = asked.where(F.get("p", F.lit(0)) == mark).select(*[F.get("p", F.lit(i + 1)).alias(n) for i, n in enumerate(names)], F.col("context").alias(f"c{k}"))
+        w = w.join(F.broadcast(of_shape), list(names), "left")
+    held = F.coalesce(*[f"c{k}" for k in range(len(shapes))]).isNotNull()
+    return w.where(held).select(F.explode(F.array_compact(F.array(*[f"c{k}" for k in range(len(shapes))]))).alias("context")).groupBy("context").agg(F.count("*").alias("places"))
 
 
 def discover(docs: DataFrame, found: DataFrame, *, most: int = MOST_BROADCAST) -> DataFrame:
@@ -200,20 +198,28 @@ def discover(docs: DataFrame, found: DataFrame, *, most: int = MOST_BROADCAST) -
     graph = save(graph, "pii-graph")
     known = save(found.where("kind is not null").select("m", "kind").distinct(), "pii-known")
     shaped = save(graph.groupBy("context").agg(F.sum("n").alias("n_shaped")), "pii-shaped")
-    accepted, told, n_known = None, None, known.count()
+    # texts without a mention are searched only for contexts that pass in the others
+    able_to_hold = F.rlike(F.coalesce("text", F.lit("")), F.lit("[0-9@]"))
+    held, bare = docs.where(able_to_hold), docs.where(~able_to_hold)
+    none = spark.createDataFrame([], "context string, places long")
+    in_held, in_bare, n_known = none, none, known.count()
+
+    def counted(texts: DataFrame, contexts: DataFrame, told: DataFrame) -> DataFrame:
+        """``told`` with the places of those ``contexts`` that it lacks; the texts do not change between rounds."""
+        new = save(contexts.select("context").distinct().join(told, "context", "left_anti"), "pii-new")
+        if new.isEmpty():
+            return told
+        places = new.join(marked_places(texts, new, most), "context", "left").select("context", F.coalesce("places", F.lit(0)).cast("long").alias("places"))
+        return told.unionByName(save(places, "pii-places"))
+
     while True:
         by = graph.drop("kind").join(known, "m").groupBy("context", "kind").agg(F.count_distinct("m").alias("n_known"), F.sum("n").alias("known_places"))
         able = save(by.where(F.col("n_known") >= MIN_KNOWN).join(shaped, "context").where(F.col("known_places") >= MIN_PRECISION * F.col("n_shaped")), "pii-able")
-        # the texts do not change: only contexts not yet counted are
-        new = able.select("context").distinct()
-        new = save(new if told is None else new.join(told, "context", "left_anti"), "pii-new")
-        if not new.isEmpty():
-            counted = save(marked_places(docs, new, most), "pii-places")
-            told = counted if told is None else told.unionByName(counted)
-        if told is None:
-            break
-        scored = able.join(told, "context")
-        scored = scored.withColumn("precision", F.least(F.col("known_places") / F.greatest("places", "n_shaped"), F.lit(0.99)))
+        in_held = counted(held, able, in_held)
+        able = save(able.join(in_held, "context").where(F.col("known_places") >= MIN_PRECISION * F.col("places")), "pii-able")
+        in_bare = counted(bare, able, in_bare)
+        scored = able.join(in_bare.withColumnRenamed("places", "more"), "context").withColumn("places", F.greatest(F.col("places") + F.col("more"), "n_shaped"))
+        scored = scored.withColumn("precision", F.least(F.col("known_places") / F.col("places"), F.lit(0.99)))
         scored = save(scored.where(F.col("precision") >= MIN_PRECISION).select("context", F.col("kind").alias("as"), "precision"), "pii-patterns")
         # base entities keep their kind; a secret needs a pattern like any other identifier
         open_ = graph.where(F.col("kind").isNull() | (F.col("kind") == SECRET)).select("context", "m").distinct()
@@ -223,8 +229,6 @@ def discover(docs: DataFrame, found: DataFrame, *, most: int = MOST_BROADCAST) -
         before, n_known = n_known, known.count()
         if n_known == before:
             break
-    if accepted is None:
-        return spark.createDataFrame([], "rid long, kind string, s int, e int")
     return found.where(F.col("kind").isNull() | (F.col("kind") == SECRET)).join(accepted, "m").select("rid", F.col("as").alias("kind"), "s", "e")
 
 
