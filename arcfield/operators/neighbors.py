@@ -8,7 +8,9 @@ import math
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from arcfield.deploy import save
 from arcfield.functions.measure import arc_deg, chord2, chord_limit, half_width
+from arcfield.operators.components import components
 from arcfield.operators.zones import home_cells, probe_cells, with_margins, zone_of
 
 
@@ -75,7 +77,11 @@ def comparison_count(df: DataFrame, r: float, h: float, passes: str = "cells") -
 
 
 class NeighborStore:
-    """Neighbour rows on storage, sorted by zone and id, with their parameters."""
+    """Neighbour rows on storage, range-sorted by object, with their parameters.
+
+    Files and row groups hold ranges of obj_id, so a lookup reads the one that
+    its object is in.
+    """
 
     def __init__(self, path: str):
         self.path = path
@@ -83,7 +89,7 @@ class NeighborStore:
     def write(self, df: DataFrame, r: float, h: float | None = None) -> NeighborStore:
         h = h or r
         rows = neighbors(df, r, h).join(df.select("obj_id", zone_of(F.col("dec"), h).alias("zone")), "obj_id")
-        rows.repartitionByRange("zone", "obj_id").sortWithinPartitions("zone", "obj_id", "neighbor_id").write.mode("overwrite").parquet(f"{self.path}/rows")
+        rows.repartitionByRange("obj_id").sortWithinPartitions("obj_id", "distance_deg", "neighbor_id").write.mode("overwrite").parquet(f"{self.path}/rows")
         df.sparkSession.createDataFrame([(json.dumps({"radius": r, "zone_height": h, "edge": "open"}),)], "meta string").coalesce(1).write.mode("overwrite").text(f"{self.path}/meta")
         return self
 
@@ -111,23 +117,14 @@ def lens_candidates(df: DataFrame, pairs: DataFrame, attribute: str) -> DataFram
     return pairs.join(a, "obj_id").join(b, "neighbor_id").where("a_value = b_value").select("obj_id", "neighbor_id", "distance_deg", F.col("a_value").alias(attribute))
 
 
-def density_clusters(df: DataFrame, pairs: DataFrame, least: int, rounds: int = 50) -> DataFrame:
+def density_clusters(pairs: DataFrame, least: int, max_rounds: int = 60) -> DataFrame:
     """(obj_id, cluster_id): objects with ``least`` neighbours or more, joined over links among them.
 
-    Minimum labels spread along links and jump to their label's label each
-    round, so rounds grow with the logarithm of a cluster's diameter.
+    A cluster is named by its smallest object.  Contraction takes rounds by the
+    logarithm of a cluster's diameter; one that has not settled after
+    ``max_rounds`` is an error, not a result.
     """
-    from arcfield.deploy import save
-
     dense = save(pairs.groupBy("obj_id").agg(F.count("*").alias("n")).where(F.col("n") >= least).select("obj_id"), "dense")
-    links = save(pairs.join(dense, "obj_id").join(dense.select(F.col("obj_id").alias("neighbor_id")), "neighbor_id").select("obj_id", "neighbor_id"), "links")
-    labels = dense.select("obj_id", F.col("obj_id").alias("cluster_id"))
-    for _ in range(rounds):
-        near = links.join(labels.select(F.col("obj_id").alias("neighbor_id"), F.col("cluster_id").alias("seen")), "neighbor_id").groupBy("obj_id").agg(F.min("seen").alias("seen"))
-        step = labels.join(near, "obj_id", "left").select("obj_id", F.col("cluster_id").alias("old"), F.least("cluster_id", "seen").alias("cluster_id"))
-        up = labels.select(F.col("obj_id").alias("cluster_id"), F.col("cluster_id").alias("up"))
-        step = save(step.join(up, "cluster_id", "left").select("obj_id", "old", F.least("cluster_id", "up").alias("cluster_id")), "labels")
-        labels = step.select("obj_id", "cluster_id")
-        if step.where("old <> cluster_id").isEmpty():
-            break
-    return labels
+    links = pairs.join(dense, "obj_id").join(dense.select(F.col("obj_id").alias("neighbor_id")), "neighbor_id")
+    tied = components(links, "obj_id", "neighbor_id", max_rounds)
+    return dense.join(tied, F.col("obj_id") == F.col("node"), "left").select("obj_id", F.coalesce("root", "obj_id").alias("cluster_id"))

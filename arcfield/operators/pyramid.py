@@ -44,30 +44,33 @@ def write_pyramid(cells: DataFrame, path: str) -> None:
     cells.repartitionByRange("scale", "zone", "ra").sortWithinPartitions("scale", "zone", "ra").write.mode("overwrite").partitionBy("scale").parquet(path)
 
 
-def reach_at(r: float, scale: int, base: float, largest: float | None = None) -> float:
+def largest_radius(cells: DataFrame, levels: int) -> float:
+    """The largest radius of the top scale, which holds regions larger than its zones are high; 0 if it is empty."""
+    return float(cells.where(F.col("scale") == levels - 1).agg(F.max("radius")).first()[0] or 0.0)
+
+
+def reach_at(r: float, scale: int, base: float, largest: float = 0.0) -> float:
     """Search arc at a scale: the query's radius plus the largest radius there."""
-    return min(180.0, r + (largest if largest is not None else base * 2.0**scale))
+    return min(180.0, r + max(largest, base * 2.0**scale))
 
 
-def candidate_zones(dec: float, r: float, base: float, levels: int) -> list[tuple[int, int, float]]:
-    """(scale, zone, reach) rows a query circle visits."""
+def candidate_zones(dec: float, r: float, base: float, levels: int, largest: float = 0.0) -> list[tuple[int, int, float]]:
+    """(scale, zone, reach) rows a query circle visits; ``largest`` is the top scale's largest radius."""
     out = []
     for s in range(levels):
-        height, reach = base * 2.0**s, reach_at(r, s, base)
+        height, reach = base * 2.0**s, reach_at(r, s, base, largest if s == levels - 1 else 0.0)
         last = math.ceil(180.0 / height) - 1
         low, high = (max(0, min(last, math.floor((d + 90.0) / height))) for d in (dec - reach, dec + reach))
         out += [(s, z, reach) for z in range(low, high + 1)]
     return out
 
 
-def candidate_intervals(ra: float, dec: float, r: float, base: float, levels: int) -> list[tuple[int, int, int, float, float]]:
+def candidate_intervals(ra: float, dec: float, r: float, base: float, levels: int, largest: float = 0.0) -> list[tuple[int, int, int, float, float]]:
     """(scale, zone_lo, zone_hi, ra_lo, ra_hi): one or two rows a level, however wide the query."""
-    out = []
-    for s in range(levels):
-        zones = [z for k, z, _ in candidate_zones(dec, r, base, s + 1) if k == s]
-        for low, high in ra_windows(ra, exact_width(dec, reach_at(r, s, base))):
-            out.append((s, min(zones), max(zones), low, high))
-    return out
+    spans: dict[int, list] = {}
+    for s, z, reach in candidate_zones(dec, r, base, levels, largest):
+        spans.setdefault(s, [z, z, reach])[1] = z
+    return [(s, first, last, low, high) for s, (first, last, reach) in spans.items() for low, high in ra_windows(ra, exact_width(dec, reach))]
 
 
 def geometry(ra: float, dec: float, r: float) -> Column:
@@ -75,10 +78,10 @@ def geometry(ra: float, dec: float, r: float) -> Column:
     return chord2(unit_of(ra, dec)) < 4 * F.pow(F.sin(F.radians(reach) / 2), 2)
 
 
-def overlap_stages(ra: float, dec: float, r: float, base: float, levels: int) -> list[tuple[str, Column]]:
+def overlap_stages(ra: float, dec: float, r: float, base: float, levels: int, largest: float = 0.0) -> list[tuple[str, Column]]:
     """The successive filters: scale and zone, ra at the scale's reach, ra and dec at the region's own, geometry."""
     zone = coarse = F.lit(False)
-    for s, low, high, a, b in candidate_intervals(ra, dec, r, base, levels):
+    for s, low, high, a, b in candidate_intervals(ra, dec, r, base, levels, largest):
         here = (F.col("scale") == s) & F.col("zone").between(low, high)
         zone, coarse = zone | here, coarse | (here & F.col("ra").between(a, b))
     gap = F.abs(F.pmod(F.col("ra") - ra + 180.0, F.lit(360.0)) - 180.0)
@@ -87,10 +90,13 @@ def overlap_stages(ra: float, dec: float, r: float, base: float, levels: int) ->
     return [("zone", zone), ("index_ra", coarse), ("fine_ra", fine), ("dec", F.abs(F.col("dec") - dec) <= own + 1e-9), ("geometry", geometry(ra, dec, r))]
 
 
-def pyramid_overlap(cells: DataFrame, ra: float, dec: float, r: float, base: float, levels: int) -> DataFrame:
-    """Regions whose circles meet the query circle; every coarse bound is a literal that reaches the scan."""
-    out = cells
-    for _, test in overlap_stages(ra, dec, r, base, levels)[1:]:
+def pyramid_overlap(cells: DataFrame, ra: float, dec: float, r: float, base: float, levels: int, largest: float | None = None) -> DataFrame:
+    """Regions whose circles meet the query circle; every coarse bound is a literal that reaches the scan.
+
+    ``largest`` is the top scale's largest radius; by default it is looked up.
+    """
+    out, largest = cells, largest_radius(cells, levels) if largest is None else largest
+    for _, test in overlap_stages(ra, dec, r, base, levels, largest)[1:]:
         out = out.where(test)
     return out
 
@@ -98,7 +104,7 @@ def pyramid_overlap(cells: DataFrame, ra: float, dec: float, r: float, base: flo
 def selectivity_report(cells: DataFrame, ra: float, dec: float, r: float, base: float, levels: int) -> DataFrame:
     """(radius, zone, index_ra, fine_ra, dec, geometry): rows that survive each filter, in one pass."""
     counts, so_far = [], F.lit(True)
-    for name, test in overlap_stages(ra, dec, r, base, levels):
+    for name, test in overlap_stages(ra, dec, r, base, levels, largest_radius(cells, levels)):
         so_far = so_far & test
         counts.append(F.count_if(so_far).alias(f"rows_{name}"))
     return cells.agg(*counts).select(F.lit(float(r)).alias("query_radius"), "*")
@@ -142,9 +148,9 @@ def pyramid_join(circles: DataFrame, levels: int, base: float) -> DataFrame:
 
 def pyramid_plane(cells: DataFrame, u: float, v: float, r: float, base: float, levels: int) -> DataFrame:
     """The planar pyramid: scales by radius, stripes of v, the plain distance of centres."""
-    coarse = F.lit(False)
+    coarse, largest = F.lit(False), largest_radius(cells, levels)
     for s in range(levels):
-        reach = r + base * 2.0**s
+        reach = r + max(base * 2.0**s, largest if s == levels - 1 else 0.0)
         coarse = coarse | ((F.col("scale") == s) & F.col("v").between(v - reach, v + reach) & F.col("u").between(u - reach, u + reach))
     return cells.where(coarse & (F.pow(F.col("u") - u, 2) + F.pow(F.col("v") - v, 2) < F.pow(F.col("radius") + r, 2)))
 
@@ -194,7 +200,7 @@ def trails_near(points: DataFrame, trails: DataFrame, max_len: float, policy: st
     pieces = segment_trails(trails, max_len if policy == "segment" else 360.0)
     if policy == "cap":
         pieces = pieces.withColumn("radius", F.least(F.col("radius"), F.lit(cap)))
-    ids = pieces.withColumn("obj_id", F.col("base_id") * 100_000 + F.col("piece"))
-    hit = membership(points, ids.withColumn("radius", F.col("radius") + 1e-9)).select("obj_id", F.floor(F.col("region_id") / 100_000).cast("long").alias("base_id")).distinct()
+    ids = pieces.withColumn("obj_id", F.struct("base_id", "piece"))
+    hit = membership(points, ids.withColumn("radius", F.col("radius") + 1e-9), region_type="struct<base_id:long,piece:int>").select("obj_id", "region_id.base_id").distinct()
     exact = hit.join(points.select("obj_id", "x", "y", "z"), "obj_id").join(trails.withColumnRenamed("obj_id", "base_id"), "base_id")
     return exact.where(arc_distance() < F.col("width")).select("obj_id", "base_id")

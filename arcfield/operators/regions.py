@@ -130,27 +130,35 @@ def points_in_region(points: DataFrame, convexes: list[Convex], how: str = "auto
     return points.join(hit.select("obj_id"), "obj_id", "left_semi")
 
 
-def membership(points: DataFrame, circles: DataFrame, h: float = 2.0) -> DataFrame:
+def membership(points: DataFrame, circles: DataFrame, region_type: str = "long") -> DataFrame:
     """(obj_id, region_id): points inside circles (obj_id, ra, dec, x, y, z, radius) of very different sizes.
 
     Circles go by size class; each class meets the points on zones and cells of
     its own width, so a wide circle costs few keys and a small one few points.
+    Points are read once and carry a key for each class that occurs; one join
+    on (class, zone, cell) serves all classes.  ``region_type`` is the type of
+    the circles' ids, for a table without any.
     """
     from arcfield.operators.zones import home_cells, probe_cells
 
-    out = None
-    sizes = [r[0] for r in circles.select(F.greatest(F.lit(-8), F.ceil(F.log2("radius"))).cast("int")).distinct().collect()]
-    for k in sorted(sizes):
-        own = circles.where(F.greatest(F.lit(-8), F.ceil(F.log2("radius"))).cast("int") == k)
+    size = F.greatest(F.lit(-8), F.least(F.lit(8), F.ceil(F.log2("radius")))).cast("int")
+    sizes = sorted(r[0] for r in circles.where("radius > 0").select(size).distinct().collect())
+    if not sizes:
+        return points.sparkSession.createDataFrame([], f"obj_id long, region_id {region_type}")
+    probes, homes = None, []
+    here = points.select("obj_id", "ra", "dec", "x", "y", "z")
+    for k in sizes:
         r = min(180.0, 2.0**k)
         width = max(min(r, 30.0), 1 / 64)
-        p = probe_cells(own.select(F.col("obj_id").alias("region_id"), "ra", "dec", "radius", *[F.col(c).alias(f"c{c}") for c in "xyz"]), width, r)
-        o = home_cells(points.select("obj_id", "ra", "dec", "x", "y", "z"), width, r).drop("ra", "dec")
-        limit = 4 * F.pow(F.sin(F.radians(F.least(F.col("radius"), F.lit(180.0))) / 2), 2)
-        d = F.pow(F.col("x") - F.col("cx"), 2) + F.pow(F.col("y") - F.col("cy"), 2) + F.pow(F.col("z") - F.col("cz"), 2)
-        part = p.drop("ra", "dec").join(o, ["zone", "cell"]).where(d < limit).select("obj_id", "region_id")
-        out = part if out is None else out.unionByName(part)
-    return points.sparkSession.createDataFrame([], "obj_id long, region_id long") if out is None else out
+        own = circles.where((F.col("radius") > 0) & (size == k)).select(F.col("obj_id").alias("region_id"), "ra", "dec", "radius", *[F.col(c).alias(f"c{c}") for c in "xyz"])
+        part = probe_cells(own, width, r).drop("ra", "dec").withColumn("size", F.lit(k))
+        probes = part if probes is None else probes.unionByName(part)
+        here = home_cells(here, width, r).withColumnsRenamed({"zone": f"zone{k}", "cell": f"cell{k}"})
+        homes.append(F.struct(F.lit(k).alias("size"), F.col(f"zone{k}").alias("zone"), F.col(f"cell{k}").alias("cell")))
+    here = here.select("obj_id", "x", "y", "z", F.inline(F.array(*homes)))
+    limit = 4 * F.pow(F.sin(F.radians(F.least(F.col("radius"), F.lit(180.0))) / 2), 2)
+    d = F.pow(F.col("x") - F.col("cx"), 2) + F.pow(F.col("y") - F.col("cy"), 2) + F.pow(F.col("z") - F.col("cz"), 2)
+    return probes.join(here, ["size", "zone", "cell"]).where(d < limit).select("obj_id", "region_id")
 
 
 def points_in_region_nd(points: DataFrame, vector: str, convexes: list[list[tuple[list[float], float]]]) -> DataFrame:
@@ -223,6 +231,35 @@ def near(a: list[Convex], theta: float) -> list[Convex]:
     return buffered(a, theta)
 
 
+def relations(pairs: DataFrame) -> DataFrame:
+    """(a_id, b_id, overlaps, contains) of circle pairs (a_id, b_id, a, b), each circle an array (x, y, z, l)."""
+    import pandas as pd
+
+    from arcfield.deploy import ship
+
+    ship(pairs.sparkSession)
+
+    def work(batches):
+        for pdf in batches:
+            both = [([[tuple(a)]], [[tuple(b)]]) for a, b in zip(pdf["a"], pdf["b"])]
+            yield pd.DataFrame({"a_id": pdf["a_id"], "b_id": pdf["b_id"], "overlaps": [overlaps(*x) for x in both], "contains": [contains(*x) for x in both]})
+
+    return pairs.select("a_id", "b_id", "a", "b").mapInPandas(work, "a_id long, b_id long, overlaps boolean, contains boolean")
+
+
+def held_by(rows: DataFrame, regions: dict[int, list[Convex]]) -> DataFrame:
+    """Rows (obj_id, region_id, b) whose circle ``b`` lies wholly in the region of ``region_id``; ``regions`` are few."""
+    from arcfield.deploy import ship
+
+    ship(rows.sparkSession)
+
+    def work(batches):
+        for pdf in batches:
+            yield pdf[[contains(regions[k], [[tuple(b)]]) for k, b in zip(pdf["region_id"], pdf["b"])]][["obj_id", "region_id"]]
+
+    return rows.select("obj_id", "region_id", "b").mapInPandas(work, "obj_id long, region_id int")
+
+
 def negate_rows(halfspaces: DataFrame) -> DataFrame:
     """Disjoint negation of every one-convex region, as rows: constraint i fails, those before it hold."""
     a = halfspaces.alias("a")
@@ -237,9 +274,11 @@ def and_rows(a: DataFrame, b: DataFrame) -> DataFrame:
     ca = a.select(F.col("region_id").alias("ra"), F.col("convex_id").alias("ca")).distinct()
     cb = b.select(F.col("region_id").alias("rb"), F.col("convex_id").alias("cb")).distinct()
     n = cb.groupBy("rb").agg((F.max("cb") + 1).alias("n"))
+    # the right side's constraints are numbered after the left side's
+    after = (int(a.agg(F.max("halfspace_id")).first()[0] or 0)) + 1
     pairs = ca.crossJoin(F.broadcast(cb.join(n, "rb"))).withColumn("convex_id", F.col("ca") * F.col("n") + F.col("cb"))
     left = pairs.join(a, (F.col("ra") == a.region_id) & (F.col("ca") == a.convex_id)).select("ra", "rb", pairs.convex_id, F.col("halfspace_id"), "x", "y", "z", "l")
-    right = pairs.join(b, (F.col("rb") == b.region_id) & (F.col("cb") == b.convex_id)).select("ra", "rb", pairs.convex_id, (F.col("halfspace_id") + 1000).alias("halfspace_id"), "x", "y", "z", "l")
+    right = pairs.join(b, (F.col("rb") == b.region_id) & (F.col("cb") == b.convex_id)).select("ra", "rb", pairs.convex_id, (F.col("halfspace_id") + after).alias("halfspace_id"), "x", "y", "z", "l")
     return left.unionByName(right)
 
 

@@ -90,18 +90,21 @@ def poly_vec(vertices, winding: str = "auto", antipodal: str | None = None) -> l
     if len(v) < 3:
         raise SpecError("a polygon has three vertices or more")
     if antipodal == "equator":
-        for i, a in enumerate(v):
-            b = v[(i + 1) % len(v)]
-            if float(a @ b) < -1 + 1e-12:
-                # close along the equator on the side of the winding: the rest of the outline lies north or south of it
-                rest = sum((p for j, p in enumerate(v) if j not in (i, (i + 1) % len(v))), np.zeros(3))
-                pole = np.array([0.0, 0.0, 1.0 if rest[2] >= 0 else -1.0])
-                side = _unit(np.cross(pole, a))
-                turn = np.cross(v[0], v[1])
-                if float(turn @ np.array([0.0, 1.0, 0.0])) > 0:
-                    side = -side
-                # two constraints: the equator and the half turn's meridian side
-                return [[_half(pole, 0.0), _half(side if side[1] >= 0 else -side, 0.0)]]
+        # unless told otherwise such outlines have their inside on the right, as in the published north-eastern one
+        v = v if winding == "ccw" else v[::-1]
+        for i, p in enumerate(v):
+            q = v[(i + 1) % len(v)]
+            if float(p @ q) < -1 + 1e-12:
+                # that edge runs along the equator, so its pole is the side of the other vertices; they come in
+                # the order of the outline, which has its inside on the left of every other edge
+                order = [v[(i + 1 + k) % len(v)] for k in range(len(v))]
+                rest = sum(order[1:-1])
+                if abs(float(p[2])) > 1e-12 or abs(float(rest[2])) < 1e-12:
+                    raise DegenerateEdge("an edge between antipodal vertices follows the equator only if both lie on it and the others do not")
+                sides = [_edge(c, d) for c, d in zip(order, order[1:])]
+                distinct = [s for k, s in enumerate(sides) if all(float(s @ t) < 1 - 1e-12 for t in sides[:k])]
+                return [[_half(np.array([0.0, 0.0, math.copysign(1.0, rest[2])]), 0.0), *[_half(s, 0.0) for s in distinct]]]
+        v = v if winding == "ccw" else v[::-1]
     mean = sum(v)
     if winding == "auto":
         area = sum(float(np.cross(v[i], v[(i + 1) % len(v)]) @ mean) for i in range(len(v)))

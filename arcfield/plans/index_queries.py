@@ -50,6 +50,24 @@ for _k, _wide, _ratio in ((10, 0.2, 0.032), (100, 2.0, 0.32), (350, 7.0, 1.12),
         ORACLES[f"w_pyramid_overlap_{_k}{_kind}"] = f"{with_views('sky_part')} SELECT obj_id, round(radius, 6) AS radius FROM sky_part s WHERE {meet_sql(_r)}"
 
 
+_LARGE = "(SELECT obj_id, x, y, z, radius * 6 AS radius FROM sky_part)"
+
+
+def large_parts(spark, sf_dir):
+    """Circles up to 61 degrees: the largest pass the top scale."""
+    return sky(spark, sf_dir, "sky_part").withColumn("radius", F.col("radius") * 6)
+
+
+@query("w_pyramid_overlap_wide", f"{with_views('sky_part')} SELECT obj_id, round(radius, 6) AS radius FROM {_LARGE} s WHERE {meet_sql(2.0)}")
+def w_pyramid_overlap_wide(spark, sf_dir):
+    return P.pyramid_overlap(P.build_pyramid(large_parts(spark, sf_dir), WIDE, LEVELS), 30.0, 20.0, 2.0, WIDE, LEVELS).select("obj_id", F.round("radius", 6).alias("radius"))
+
+
+@query("w_pyramid_join_wide", f"{with_views('sky_part')} SELECT a.obj_id, b.obj_id AS other_id FROM {_LARGE} a JOIN {_LARGE} b ON a.obj_id < b.obj_id WHERE power(a.x - b.x, 2) + power(a.y - b.y, 2) + power(a.z - b.z, 2) < 4 * power(sin(radians(least(180.0, a.radius + b.radius)) / 2), 2)")
+def w_pyramid_join_wide(spark, sf_dir):
+    return P.pyramid_join(large_parts(spark, sf_dir), LEVELS, WIDE)
+
+
 @query("w_brute_overlap", f"{with_views('sky_part')} SELECT obj_id FROM sky_part s WHERE {meet_sql(7.0)}")
 def w_brute_overlap(spark, sf_dir):
     return baselines.brute_overlap(sky(spark, sf_dir, "sky_part"), 30.0, 20.0, 7.0).select("obj_id")
@@ -125,6 +143,13 @@ def w_pyramid_point(spark, sf_dir):
 _TILES = "SELECT p_partkey AS obj_id, (p_partkey * 37 % 1000)::DOUBLE AS u, (p_partkey * 91 % 1000)::DOUBLE AS v, 0.5 * power(2.0, p_size % 8) AS radius FROM part"
 
 
+@query("w_pyramid_plane_wide", f"SELECT obj_id FROM ({_TILES}) t WHERE power(u - 400, 2) + power(v - 300, 2) < power(radius + 30, 2)")
+def w_pyramid_plane_wide(spark, sf_dir):
+    """Fewer scales than the tiles have sizes: the top one holds tiles larger than its height."""
+    t = table(spark, sf_dir, "part").select(F.col("p_partkey").alias("obj_id"), (F.col("p_partkey") * 37 % 1000).cast("double").alias("u"), (F.col("p_partkey") * 91 % 1000).cast("double").alias("v"), (0.5 * F.pow(F.lit(2.0), F.col("p_size") % 8)).alias("radius"))
+    return P.pyramid_plane(t.withColumn("scale", P.scale_of(F.col("radius"), 0.5, 4)), 400.0, 300.0, 30.0, 0.5, 4).select("obj_id")
+
+
 @query("w_pyramid_plane", f"SELECT obj_id FROM ({_TILES}) t WHERE power(u - 400, 2) + power(v - 300, 2) < power(radius + 30, 2)")
 def w_pyramid_plane(spark, sf_dir):
     """Planar tiles at powers of two."""
@@ -133,16 +158,17 @@ def w_pyramid_plane(spark, sf_dir):
 
 
 def trails(spark, sf_dir):
-    """Twenty long trails between suppliers, 0.4 degrees wide on each side."""
-    s = sky(spark, sf_dir, "sky_supplier").where("obj_id <= 20")
-    a = s.select("obj_id", *[F.col(c).alias(f"a{c}") for c in "xyz"])
-    b = s.select(((F.col("obj_id") + 18) % 20 + 1).alias("obj_id"), *[F.col(c).alias(f"b{c}") for c in "xyz"])
-    return a.join(b, "obj_id").withColumn("width", F.lit(0.4))
+    """A long trail from each supplier to the next, 0.4 degrees wide on each side."""
+    s = sky(spark, sf_dir, "sky_supplier")
+    n = s.agg(F.count("*").alias("n"))
+    a = s.select("obj_id", *[F.col(c).alias(f"a{c}") for c in "xyz"]).crossJoin(F.broadcast(n))  # one row
+    b = s.select(F.col("obj_id").alias("b_id"), *[F.col(c).alias(f"b{c}") for c in "xyz"])
+    return a.join(b, F.col("obj_id") % F.col("n") + 1 == F.col("b_id")).drop("n", "b_id").withColumn("width", F.lit(0.4))
 
 
 _TRAILS = f"""{with_views('sky_supplier', 'sky_orders')}, t AS (
   SELECT a.obj_id AS base_id, a.x AS ax, a.y AS ay, a.z AS az, b.x AS bx, b.y AS by_, b.z AS bz, a.y * b.z - a.z * b.y AS nx, a.z * b.x - a.x * b.z AS ny, a.x * b.y - a.y * b.x AS nz
-  FROM sky_supplier a JOIN sky_supplier b ON a.obj_id = (b.obj_id + 18) % 20 + 1 WHERE a.obj_id <= 20 AND b.obj_id <= 20
+  FROM sky_supplier a JOIN sky_supplier b ON b.obj_id = a.obj_id % (SELECT count(*) FROM sky_supplier) + 1
 ), d AS (
   SELECT o.obj_id, t.base_id, sqrt(nx*nx + ny*ny + nz*nz) AS norm, (o.x*nx + o.y*ny + o.z*nz) AS off,
     (ny*az - nz*ay)*o.x + (nz*ax - nx*az)*o.y + (nx*ay - ny*ax)*o.z AS after_, (by_*nz - bz*ny)*o.x + (bz*nx - bx*nz)*o.y + (bx*ny - by_*nx)*o.z AS before_,

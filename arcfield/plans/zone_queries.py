@@ -164,7 +164,7 @@ reach AS (SELECT obj_id AS a, obj_id AS b FROM dense UNION SELECT r.a, e.b FROM
 SELECT a AS obj_id, min(b) AS cluster_id FROM reach GROUP BY 1""")
 def w_clusters(spark, sf_dir):
     df = sky(spark, sf_dir, "sky_customer")
-    return N.density_clusters(df, N.neighbors(df, 2.0), 2)
+    return N.density_clusters(N.neighbors(df, 2.0), 2)
 
 
 def _widths(spark, sf_dir):

@@ -6,8 +6,10 @@ from pyspark.sql import functions as F
 
 from arcfield.functions import measure as M
 from arcfield.functions.frames import matrix
+from arcfield.operators import baselines as B
 from arcfield.operators import mesh, neighbors as N, pyramid as P, regions as R, simplify as S, spec, zones as Z
 from arcfield.sources.catalog import positions, rejects, sky
+from arcfield.sources.stores import ZoneStore
 
 
 def points(spark, rows):
@@ -220,7 +222,7 @@ def test_empty_tables(spark):
     assert N.neighbors(df, 1.0).count() == 0
     assert Z.nearby(df, 1, 2, 3).count() == 0
     assert Z.nearest(df, 1, 2, 3).count() == 0
-    assert N.density_clusters(df, N.neighbors(df, 1.0), 1).count() == 0
+    assert N.density_clusters(N.neighbors(df, 1.0), 1).count() == 0
 
 
 def test_mesh_columns(spark, sf):
@@ -268,3 +270,80 @@ def test_layouts(spark, sf, tmp_path):
     P.write_pyramid(cells, str(tmp_path / "pyramid"))
     back = spark.read.parquet(str(tmp_path / "pyramid"))
     assert P.pyramid_overlap(back, 30.0, 20.0, 20.0, 0.02, 10).count() == P.pyramid_overlap(cells, 30.0, 20.0, 20.0, 0.02, 10).count()
+
+
+def circles(spark, rows):
+    """(obj_id, ra, dec, radius) with unit vectors."""
+    return spark.createDataFrame([(i, *map(float, (ra, dec, r)), *M.unit_of(ra, dec)) for i, ra, dec, r in rows], "obj_id long, ra double, dec double, radius double, x double, y double, z double")
+
+
+def test_pyramid_reaches_the_largest_regions(spark):
+    """Regions larger than the top scale's zones are found however far their centres."""
+    rng = np.random.default_rng(2)
+    rows = [(1, 55.0, 20.0, 25.0), (2, 31.0, 20.0, 0.5)] + [(k, rng.uniform(0, 360), rng.uniform(-90, 90), float(2.0 ** rng.uniform(-6, 7.4))) for k in range(3, 200)]
+    df = circles(spark, rows)
+    for base, levels in ((0.02, 10), (0.02, 3), (5.0, 1)):
+        cells = P.build_pyramid(df, base, levels)
+        got = {r.obj_id for r in P.pyramid_overlap(cells, 30.0, 20.0, 1.0, base, levels).collect()}
+        assert got == {r.obj_id for r in B.brute_overlap(df, 30.0, 20.0, 1.0).collect()} and {1, 2} <= got
+        v = {i: np.array(M.unit_of(ra, dec)) for i, ra, dec, _ in rows}
+        size = {i: r for i, *_, r in rows}
+        pairs = {(a, b) for a in v for b in v if a < b and math.degrees(2 * math.asin(min(1.0, np.linalg.norm(v[a] - v[b]) / 2))) < min(180.0, size[a] + size[b])}
+        assert {tuple(r) for r in P.pyramid_join(df, levels, base).collect()} == pairs
+
+
+def test_membership_of_all_sizes(spark):
+    rng = np.random.default_rng(3)
+    rows = [(k, rng.uniform(0, 360), rng.uniform(-90, 90), float(2.0 ** rng.uniform(-9, 7.5))) for k in range(60)] + [(60, 10.0, 90.0, 180.0), (61, 10.0, 0.0, 0.0)]
+    at = points(spark, [(k, float(rng.uniform(0, 360)), float(rng.uniform(-90, 90))) for k in range(300)])
+    v = {r.obj_id: np.array((r.x, r.y, r.z)) for r in at.collect()}
+    want = {(o, i) for o in v for i, ra, dec, r in rows if ((v[o] - np.array(M.unit_of(ra, dec))) ** 2).sum() < 4 * math.sin(math.radians(min(r, 180.0)) / 2) ** 2}
+    got = [tuple(r) for r in R.membership(at, circles(spark, rows)).collect()]
+    assert sorted(got) == sorted(want)
+
+
+def test_trails_with_large_ids(spark):
+    """Ids and numbers of pieces of any size stay apart."""
+    a, b, c = (M.unit_of(*p) for p in ((0, 0), (120, 0), (0, 80)))
+    schema = "obj_id long, " + ", ".join(f"{k}{x} double" for k in "ab" for x in "xyz") + ", width double"
+    big = 2**62
+    df = spark.createDataFrame([(big, *a, *b, 0.5), (big + 1, *a, *c, 0.5)], schema)
+    at = points(spark, [(1, 60.0, 0.0), (2, 0.0, 40.0), (3, 200.0, 0.0)])
+    assert sorted(tuple(r) for r in P.trails_near(at, df, 0.01).collect()) == [(1, big), (2, big + 1)]
+
+
+@pytest.mark.parametrize("turn", [0, 45, 90, 180, 270, 300])
+@pytest.mark.parametrize("north", [1, -1])
+def test_antipodal_polygon_turns_with_its_vertices(turn, north):
+    """The half between an equator edge and a meridian, whichever way it is turned; clockwise is its mirror."""
+    for dec in (90.0, 50.0):
+        ends = [(turn, 0.0), (turn + 180.0, 0.0)]
+        outline = [ends[0], ends[1], (turn + 90.0, dec * north)] if north > 0 else [ends[1], ends[0], (turn + 90.0, dec * north)]
+        (convex,) = spec.poly_sky(outline, "ccw", "equator")
+        inside = lambda ra, d: all(np.dot(h[:3], M.unit_of(ra, d)) > h[3] for h in convex)
+        assert inside(turn + 90, 10 * north) and not inside(turn + 270, 10 * north) and not inside(turn + 90, -10 * north)
+        (back,) = spec.poly_sky(outline[::-1], "cw", "equator")
+        assert {tuple(np.round(h, 9)) for h in back} == {tuple(np.round(h, 9)) for h in convex}
+
+
+def test_long_chain_is_one_cluster(spark):
+    rng = np.random.default_rng(0)
+    ids = rng.permutation(1500).tolist()
+    pairs = [(a, b) for a, b in zip(ids, ids[1:])]
+    df = spark.createDataFrame(pairs + [(b, a) for a, b in pairs], "obj_id long, neighbor_id long")
+    got = N.density_clusters(df, 1)
+    assert {r.cluster_id for r in got.collect()} == {0} and got.count() == 1500
+    with pytest.raises(RuntimeError):
+        N.density_clusters(df, 1, max_rounds=2)
+
+
+def test_store_merges_versions(spark, tmp_path):
+    store = ZoneStore(str(tmp_path / "zones"))
+    at = lambda rows: points(spark, rows).select("obj_id", "ra", "dec", "x", "y", "z")
+    store.write(at([(1, 10.0, 0.0), (2, 20.0, 30.0), (3, 30.0, 30.0)]), 1.0)
+    store.merge(at([(2, 200.0, -30.0), (4, 40.0, 6.0)]), 1.0, 0)
+    for _ in range(2):  # tried again
+        store.merge(at([(2, 100.0, 65.0), (1, 10.5, 0.0)]), 1.0, 1)
+    assert sorted((r.obj_id, r.ra) for r in store.read(spark).collect()) == [(1, 10.5), (2, 100.0), (3, 30.0), (4, 40.0)]
+    assert [r.obj_id for r in store.nearby(spark, 20.0, 30.0, 3.0).collect()] == []
+    assert [r.obj_id for r in store.nearby(spark, 10.0, 0.0, 3.0).collect()] == [1]
