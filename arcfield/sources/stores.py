@@ -34,17 +34,41 @@ class ZoneStore:
         df.sparkSession.createDataFrame([(meta,)], "meta string").coalesce(1).write.mode("overwrite").text(f"{self.path}/meta")
         return self
 
+    def merge(self, df: DataFrame, h: float, version: int) -> ZoneStore:
+        """Replace the objects of ``df`` (one row each); a version that is merged again replaces itself.
+
+        A version is a folder beside the rows and clustered alike; an object
+        counts in its newest one.  ``write`` of what ``read`` returns compacts.
+        """
+        rows = df.withColumn("zone", zone_of(F.col("dec"), h)).withColumn("band", zone_of(F.col("dec"), self.band))
+        rows.repartitionByRange("band", "zone", "ra").sortWithinPartitions("band", "zone", "ra").write.mode("overwrite").partitionBy("band").parquet(f"{self.path}/versions/version={int(version)}")
+        meta = json.dumps({"zone_height": h, "band": self.band, "edge": "open"})
+        df.sparkSession.createDataFrame([(meta,)], "meta string").coalesce(1).write.mode("overwrite").text(f"{self.path}/meta")
+        return self
+
     def meta(self, spark: SparkSession) -> dict:
         return json.loads(spark.read.text(f"{self.path}/meta").first()[0])
 
-    def read(self, spark: SparkSession) -> DataFrame:
-        return spark.read.parquet(f"{self.path}/rows")
+    def _has(self, spark: SparkSession, name: str) -> bool:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+        return path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path)
+
+    def read(self, spark: SparkSession, where=None) -> DataFrame:
+        """All current rows, or those that pass ``where``: superseded ones are found among the versions' ids alone."""
+        where = F.lit(True) if where is None else where
+        rows = spark.read.parquet(f"{self.path}/rows").where(where) if self._has(spark, "rows") else None
+        if not self._has(spark, "versions"):
+            return rows
+        later = spark.read.parquet(f"{self.path}/versions")
+        newest = later.groupBy("obj_id").agg(F.max("version").alias("newest"))
+        current = later.where(where).join(newest, "obj_id").where("version = newest").drop("version", "newest")
+        return current if rows is None else rows.join(newest, "obj_id", "left_anti").unionByName(current)
 
     def nearby(self, spark: SparkSession, ra: float, dec: float, r: float) -> DataFrame:
         """A circle: band folders, then zone, ra and dec bounds, then the chord."""
         last = math.ceil(180.0 / self.band) - 1
         low, high = (max(0, min(last, math.floor((d + 90.0) / self.band))) for d in (dec - r, dec + r))
-        rows = self.read(spark).where(F.col("band").between(low, high))
+        rows = self.read(spark, F.col("band").between(low, high))
         return nearby(rows, ra, dec, r, self.meta(spark)["zone_height"])
 
 

@@ -16,6 +16,19 @@ from arcfield.sources.catalog import RA_OF, VIEWS, positions, usable
 from arcfield.sources.stores import SCHEMAS, ZoneStore
 
 
+def late_events(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The events as a stream of three batches, a third of them each; most of the last are late.
+
+    A batch is held against the watermark that closed windows before it, which
+    follows the batch before that one.
+    """
+    folder = scratch(spark, "late-events")
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    for k in (1, 2, 0):
+        events.where(F.col("event_id") % 3 == k).coalesce(1).write.parquet(f"{folder}/third-{k}")
+    return placed(spark.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(folder))
+
+
 def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int | None = None) -> DataFrame:
     """Detections with positions, as a stream over the events files."""
     reader = spark.readStream.schema(SCHEMAS["events"]).option("pathGlobFilter", "events.parquet" if per_trigger is None else "*.parquet")
@@ -37,11 +50,12 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     out, state = scratch(spark, "stream-out"), scratch(spark, "stream-state")
 
     def put(batch: DataFrame, k: int) -> None:
-        batch.write.mode("overwrite" if mode == "complete" else "append").parquet(out)
+        # a batch that is tried again replaces what it wrote before
+        batch.write.mode("overwrite").parquet(f"{out}/batch={0 if mode == 'complete' else k}")
 
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).foreachBatch(put)
     writer.start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out)
+    return spark.read.schema(stream.schema).parquet(out).select(*stream.columns)
 
 
 def tumbling(stream: DataFrame, h: float = 30.0, width: str = "1 day") -> DataFrame:
@@ -109,8 +123,13 @@ def running_counts(stream: DataFrame, h: float = 30.0, expire_ms: int | None = N
 
 
 def upsert(stream: DataFrame, store: ZoneStore, h: float) -> None:
-    """Append each batch to a zone store, clustered as the store is."""
+    """Merge each batch into a zone store: an object's newest detection replaces those before it."""
     state = scratch(stream.sparkSession, "upsert-state")
-    rows = stream.select("obj_id", "ra", "dec", "x", "y", "z")
-    writer = rows.writeStream.option("checkpointLocation", state).trigger(availableNow=True).foreachBatch(lambda batch, k: store.write(batch, h, mode="append"))
+
+    def put(batch: DataFrame, k: int) -> None:
+        newest = batch.groupBy("obj_id").agg(F.max(F.struct("ts", "ra", "dec", "x", "y", "z")).alias("r"))
+        store.merge(newest.select("obj_id", "r.ra", "r.dec", "r.x", "r.y", "r.z"), h, k)
+
+    rows = stream.select("obj_id", "ts", "ra", "dec", "x", "y", "z")
+    writer = rows.writeStream.option("checkpointLocation", state).trigger(availableNow=True).foreachBatch(put)
     writer.start().awaitTermination()
