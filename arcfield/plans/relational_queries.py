@@ -298,14 +298,8 @@ def o_topk_zone(spark, sf_dir):
     return sky(spark, sf_dir, "sky_orders").withColumn("zone", Z.zone_of(F.col("dec"), 5.0)).withColumn("rn", F.row_number().over(w)).where("rn <= 3").select("obj_id", "zone")
 
 
-@query("o_sort_space", f"{with_views('sky_customer')} SELECT obj_id, zone, row_number() OVER (ORDER BY zone, ra, obj_id) AS place FROM (SELECT *, {_ZONE} AS zone FROM sky_customer) s ORDER BY place LIMIT 200")
+@query("o_sort_space", f"{with_views('sky_customer')} SELECT obj_id, zone, row_number() OVER (ORDER BY zone, ra, obj_id) AS place FROM (SELECT *, {_ZONE} AS zone FROM sky_customer) s")
 def o_sort_space(spark, sf_dir):
-    c = sky(spark, sf_dir, "sky_customer").withColumn("zone", Z.zone_of(F.col("dec"), 5.0)).orderBy("zone", "ra", "obj_id").limit(200)
-    return c.withColumn("place", F.row_number().over(W.orderBy("zone", "ra", "obj_id")).cast("long")).select("obj_id", "zone", "place")
-
-
-@query("o_sort_space_whole", f"{with_views('sky_customer')} SELECT obj_id, zone, row_number() OVER (ORDER BY zone, ra, obj_id) AS place FROM (SELECT *, {_ZONE} AS zone FROM sky_customer) s")
-def o_sort_space_whole(spark, sf_dir):
     """Every row with its place: range partitions, sorted, each with the count of those before it."""
     keys = ("zone", "ra", "obj_id")
     c = sky(spark, sf_dir, "sky_customer").withColumn("zone", Z.zone_of(F.col("dec"), 5.0)).select(*keys)

@@ -38,6 +38,6 @@ def test_entry_and_keys(spark):
 
 
 def test_whole_sort_places_every_row(spark, sf):
-    rows = QUERIES["o_sort_space_whole"](spark, sf).where("place is not null").collect()
+    rows = QUERIES["o_sort_space"](spark, sf).where("place is not null").collect()
     n = sky(spark, sf, "sky_customer").count()
     assert [r.place for r in sorted(rows, key=lambda r: r.place)] == list(range(1, n + 1))
