@@ -36,9 +36,9 @@ def ship(spark: SparkSession) -> None:
 def scratch(spark: SparkSession, name: str) -> str:
     """A fresh path for ``name`` in the folder that driver and executors share.
 
-    The folder is ``spark.checkpoint.dir``; where that is unset (tests) a
-    temporary folder becomes the checkpoint folder.  Paths go when the
-    application ends.
+    The folder is ``spark.checkpoint.dir``.  Where that is unset, a local
+    session (tests) gets a temporary one and a cluster an error: executors would
+    not see the driver's.  Paths go when the application ends.
     """
     import uuid
 
@@ -47,6 +47,8 @@ def scratch(spark: SparkSession, name: str) -> str:
     if root is None:
         held = spark.sparkContext.getCheckpointDir()
         if held is None:
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
             spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="arcfield-checkpoint-"))
             held = spark.sparkContext.getCheckpointDir()
         root = held
