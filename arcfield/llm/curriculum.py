@@ -114,16 +114,28 @@ def order(assigned: DataFrame, schedules=SCHEDULES) -> DataFrame:
 
 
 def mix(docs: DataFrame, *, schedules=SCHEDULES, **how) -> DataFrame:
-    """``docs`` in curriculum order: a row for each copy, range-sorted by its position; the cut copy counts where at least half of it is taken."""
+    """``docs`` in curriculum order: a row for each copy, range-sorted by its position; the cut copy counts where at least half of it is taken.
+
+    Rows that share id and source lie side by side in their source's stream;
+    each of them takes a place there by a hash of its own, so that together
+    they are taken about as often as ``assign`` says.
+    """
     found = assign(docs, schedules=schedules, **how)
-    n = F.col("passes") + (2 * F.col("part") >= F.greatest("size", F.lit(1))).cast("long")
-    # rows of a repeated id are taken alike
-    times = found.withColumn("n", n).where("n > 0").groupBy(F.col("doc_id").alias("__id")).agg(F.max(F.struct("n", "before", "source_size", "goal", "turn")).alias("m")).select("__id", "m.*")
-    times = times.withColumn("copy", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)))
-    times = times.select("__id", F.col("copy").alias("__copy"), when_at(F.col("copy") * F.col("source_size") + F.col("before"), schedules).alias("__position"))
-    joined = docs.join(times, F.col("doc_id").eqNullSafe(F.col("__id")))
+    per = [F.max(c).alias(c) for c in ("source_size", "goal", "passes", "turn", "part")]
+    groups = found.groupBy(F.col("doc_id").alias("__id"), F.col("source").alias("__source")).agg(F.count("*").alias("m"), F.min("before").alias("first"), F.sum("size").alias("words"), *per)
+    groups = groups.select("__id", "__source", F.struct("m", "first", "words", "source_size", "goal", "passes", "turn", "part").alias("__g"))
+    numbered = docs.withColumn("__u", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(1 << 30)) / float(1 << 30))
+    joined = numbered.join(groups, F.col("doc_id").eqNullSafe(F.col("__id")) & F.col("source").eqNullSafe(F.col("__source")))
+    one, g = F.col("__g.m") == 1, lambda c: F.col(f"__g.{c}")
+    start = F.when(one, g("first")).otherwise(g("first") + F.floor(F.col("__u") * g("words")))
+    extra = F.when(one, 2 * g("part") >= F.greatest(g("words"), F.lit(1))).otherwise(start < g("goal") - g("passes") * g("source_size"))
+    joined = joined.withColumn("__start", start).withColumn("__n", g("passes") + extra.cast("long")).where("__n > 0")
+    joined = joined.withColumn("__copy", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__n") - 1)))
+    # ``when_at`` reads the stream's columns by name
+    at = joined.select(*[F.col(f"`{c}`").alias(f"__doc_{k}") for k, c in enumerate(docs.columns)], "__id", "__copy", (F.col("__copy") * g("source_size") + F.col("__start")).alias("__at"), g("goal").alias("goal"), g("turn").alias("turn"))
     keys = ("__position", "__id", "__copy")
-    return joined.repartitionByRange(*keys).sortWithinPartitions(*keys).select(*docs.columns)
+    out = at.withColumn("__position", when_at(F.col("__at"), schedules)).repartitionByRange(*keys).sortWithinPartitions(*keys)
+    return out.select(*[F.col(f"__doc_{k}").alias(c) for k, c in enumerate(docs.columns)])
 
 
 def digest(docs: DataFrame) -> DataFrame:
