@@ -33,8 +33,9 @@ def train_dictionary(docs: DataFrame, content, eos: int) -> bytes:
     """Dictionary bytes from at most SAMPLE_DOCS documents chosen by hash; empty where there is too little to learn."""
     import zstandard
 
-    chosen = docs.select("doc_id").where("doc_id is not null").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_DOCS)
-    picked = docs.join(F.broadcast(chosen), "doc_id").select("text")
+    # few rows reach the order: about four times as many as it keeps
+    h, most = F.xxhash64("doc_id"), min((1 << 63) - 1, -(1 << 63) + (4 * SAMPLE_DOCS << 64) // max(1, docs.count()))
+    picked = docs.where(h <= F.lit(most)).orderBy(h, "doc_id", "text").limit(SAMPLE_DOCS).select("text")
 
     def ids(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc = encoder(content.value)
@@ -99,7 +100,10 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, eos: int) -> s
         tidy()
 
     n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs, "text") >> 27)
-    dealt = docs.repartitionByRange(n, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    # rows of one id, or of none, may be many: they are ranged by text and row as well
+    keys = (F.col("doc_id").asc_nulls_first(), F.col("h"), F.col("tie"))
+    dealt = docs.withColumn("h", F.xxhash64("text")).withColumn("tie", F.monotonically_increasing_id())
+    dealt = dealt.repartitionByRange(n, *keys).sortWithinPartitions(*keys).select("doc_id", "text")
     dealt.mapInArrow(encode, CHUNKS).write.option("compression", "none").options(**{"parquet.block.size": GROUP_BYTES, "parquet.page.size.row.check.min": 4, "parquet.block.size.row.check.min": 16, "parquet.enable.dictionary": "false"}).parquet(f"{path}/chunks")
     return path
 
