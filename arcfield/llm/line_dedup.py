@@ -39,7 +39,8 @@ class LineRuns:
 
     def all_runs(self) -> DataFrame:
         paths = [p for level in self.levels for p in level]
-        return self.spark.read.schema(RUN).parquet(*paths) if paths else self.spark.createDataFrame([], RUN)
+        none = self.spark.range(0).select(F.lit(b"").alias("key"), F.col("id").alias("first_doc"))
+        return self.spark.read.schema(RUN).parquet(*paths) if paths else none
 
     def add(self, batch: DataFrame) -> DataFrame:
         """``batch``: (key, first_doc), one row a key. Stores and returns what no run holds."""

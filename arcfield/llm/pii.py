@@ -201,7 +201,7 @@ def discover(docs: DataFrame, found: DataFrame, *, most: int = MOST_BROADCAST) -
     # texts without a mention are searched only for contexts that pass in the others
     able_to_hold = F.rlike(F.coalesce("text", F.lit("")), F.lit("[0-9@]"))
     held, bare = docs.where(able_to_hold), docs.where(~able_to_hold)
-    none = spark.createDataFrame([], "context string, places long")
+    none = spark.range(0).select(F.lit("").alias("context"), F.col("id").alias("places"))
     in_held, in_bare, n_known = none, none, known.count()
 
     def counted(texts: DataFrame, contexts: DataFrame, told: DataFrame) -> DataFrame:
