@@ -1,6 +1,7 @@
 """The ten operators against brute force on small fixtures with nulls, empty and long texts, ties, repeats and clashing columns."""
 
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -11,7 +12,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from arcfield.llm import components as C
+from arcfield.operators import components as C
 from arcfield.llm import curriculum, line_dedup, packing, pii, quality_rules, simhash, substring_dedup, token_store, toxicity, vector_dedup
 from arcfield.llm.queries import tokenizer_path
 from arcfield.llm.tokens import WordEncoder, read_tokenizer
@@ -336,6 +337,19 @@ def test_mix_and_digest_come_in_curriculum_order(docs):
     assert places == sorted(places) and max(seen.values()) > 1
 
 
+def test_mix_of_repeated_ids(spark):
+    """Half of a source's rows share an id, a third of all have none: the copies still come near the target."""
+    rng = random.Random(1)
+    text = lambda: " ".join("w" for _ in range(rng.randint(1, 40)))
+    rows = [(7 if k % 2 else k + 100, text(), "en", "a", 1) for k in range(600)] + [(None, text(), "en", "b", 1) for _ in range(600)] + [(5000 + k, text(), "en", None, 1) for k in range(600)]
+    df = spark.createDataFrame(rows, DOCS).withColumn("goal", F.lit(3)).withColumn("turn", F.lit("x"))
+    mixed = curriculum.mix(df)
+    assert mixed.columns == df.columns
+    targets = {r.source: (r.target, r.n) for r in curriculum.assign(df).groupBy("source").agg(F.first("target").alias("target"), F.count("*").alias("n")).collect()}
+    got = {r.source: r.words for r in mixed.groupBy("source").agg(F.sum(curriculum.word_count(F.col("text"))).alias("words")).collect()}
+    assert all(abs(got[s] - t) < 0.1 * t for s, (t, _) in targets.items())
+
+
 def test_schedule_inverts_its_integral(spark):
     for knots in (*curriculum.SCHEDULES, ((0, 1), (1, 1)), ((0, 0), (0.3, 2), (1, 0.1))):
         at = spark.range(0, 21).select((F.col("id") / 20.0).alias("u")).select("u", curriculum.position(F.col("u"), knots).alias("t")).collect()
@@ -380,6 +394,17 @@ def test_token_store(docs, empty, ids, spark, tmp_path):
     assert token_store.digest(empty, tokenizer_path()).count() == 0
 
 
+def test_token_store_edges(spark, ids):
+    """Null and repeated ids come in order and whole, with a clashing column."""
+    texts = {i: t for i, t, *_ in ROWS}
+    rows = [(None, texts[3], "x"), (None, texts[6], "x"), (5, texts[9], "x"), (5, texts[9], "x"), (2, None, "x")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, h string")
+    got = sorted(token_store.digest(df, tokenizer_path()).collect(), key=lambda r: r.start)
+    assert [r.doc_id for r in got] == [None, None, 2, 5, 5]
+    assert sorted(r.n_tokens for r in got) == sorted([len(ids[3]) + 1, len(ids[6]) + 1, len(ids[9]) + 1, len(ids[9]) + 1, 1])
+    assert [r.start for r in got] == list(np.cumsum([0] + [r.n_tokens for r in got])[:-1])
+
+
 def test_packing(docs, empty, ids, monkeypatch):
     monkeypatch.setattr(packing, "BLOCK", 4096)
     pieces = packing.pack(docs, tokenizer_path(), window=256, quantum=64).collect()
@@ -477,6 +502,34 @@ def test_quality_stats(docs, empty, spark):
     assert quality_rules.digest(empty, labels).count() == 0
 
 
+def test_verdict_is_the_learned_list(spark):
+    """Labelled documents end to end: the rules as a Spark expression against the same rules over plain statistics."""
+    rng = random.Random(4)
+    rows, labels = [], []
+    for i in range(400):
+        w = [f"w{rng.randint(0, 5000)}" for _ in range(rng.randint(40, 120))]
+        bad = i % 4 == 0
+        if bad:
+            w = [x + rng.choice(["%%%", "###", "$$$"]) for x in w]
+        rows.append((i, " ".join(w), "en", "s", 1))
+        labels.append((i, 0 if bad else 1, 0))
+    rows += [(900, None, "", "", 1), (None, rows[1][1], "", "", 1), (901, rows[0][1], "", "", 1), (901, rows[0][1], "", "", 1)]
+    docs, marks = spark.createDataFrame(rows, DOCS).withColumn("kept", F.lit("clash")), spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    rules = quality_rules.learn_rules(docs, marks)
+    assert rules
+
+    def kept(t):
+        s = dict(zip(quality_rules.STATS, quality_rules.text_stats(t)))
+        if s["n_words"] < 50 or 100 * s["n_repeat_words"] > 50 * s["n_words"]:
+            return False
+        ratio = {k: eval(v, {"greatest": max}, s) for k, v in quality_rules.RATIOS.items()}  # noqa: S307
+        return not any(all(ratio[c] >= v if op == ">=" else ratio[c] <= v for c, op, v in r.tests) for r in rules)
+
+    got = Counter((r.doc_id, r.kept) for r in quality_rules.digest(docs, marks).collect())
+    assert got == Counter((i, kept(t)) for i, t, *_ in rows)
+    assert not any(kept(t) for i, t, *_ in rows[:400] if i % 4 == 0) and all(kept(t) for i, t, *_ in rows[:400] if i % 4 and len(t.split()) >= 50)
+
+
 def test_rules_are_learned(spark):
     rng = np.random.default_rng(6)
     n = 3000
@@ -515,6 +568,60 @@ def test_toxicity_learns(spark, empty):
     assert [r.score for r in none] == [0.5]
 
 
+def plain_ftrl(x, y, orders, alpha=1.0, beta=1.0, l1=3.0, l2=1.0):
+    """One coordinate at a time, as the update rule reads."""
+    z, n = defaultdict(float), defaultdict(float)
+
+    def weight(i):
+        if abs(z[i]) <= l1:
+            return 0.0
+        return -(z[i] - math.copysign(l1, z[i])) / ((beta + math.sqrt(n[i])) / alpha + l2)
+
+    for order in orders:
+        for k in order:
+            w = {i: weight(i) for i in x[k]}
+            g = 1 / (1 + math.exp(-sum(w.values()))) - y[k]
+            for i in x[k]:
+                sigma = (math.sqrt(n[i] + g * g) - math.sqrt(n[i])) / alpha
+                z[i] += g - sigma * w[i]
+                n[i] += g * g
+    return z, n, weight
+
+
+@pytest.mark.parametrize("shards", [1, 3])
+def test_training_is_ftrl(spark, shards):
+    rng = random.Random(3)
+    rows = [(i, " ".join(rng.choice(["vile", "fine", "w1", "w2", "w3"] if i % 3 == 0 else ["fine", "w1", "w2", "w3", "w4"]) for _ in range(8)), "", "", 1) for i in range(200)]
+    labels = [(i, 1, int("vile" in t.split())) for i, t, *_ in rows]
+    docs, marks = spark.createDataFrame(rows, DOCS), spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    model = toxicity.train(docs, marks, shards=shards, epochs=3)
+    learnt = [i for i, *_ in rows if zlib.crc32(str(i).encode()) % 5]
+    shard = {r.i: r.s for r in spark.createDataFrame([(i,) for i in learnt], "i long").select("i", F.pmod(F.xxhash64("i"), F.lit(shards)).alias("s")).collect()}
+    states = []
+    for s in sorted(set(shard.values())):
+        own = [i for i in sorted(learnt) if shard[i] == s]
+        x = [np.unique(toxicity.features(rows[i][1].encode())).tolist() for i in own]
+        order = np.random.default_rng(5)
+        states.append(plain_ftrl(x, [labels[i][2] for i in own], [order.permutation(len(own)) for _ in range(3)]))
+    want = {}
+    for i in set().union(*[z for z, *_ in states]):
+        z, n = (sum(st[k][i] for st in states) / len(states) for k in (0, 1))
+        if abs(z) > 3.0:
+            want[i] = -(z - math.copysign(3.0, z)) / (1.0 + math.sqrt(n) + 1.0)
+    assert dict(zip(model.index.tolist(), model.weight.tolist())) == pytest.approx(want, rel=1e-5)
+    assert len(want) > 5
+
+
+def test_toxicity_edges(spark):
+    """Null, repeated and clashing: a score a row, the same for the same text."""
+    rows = [(None, "a b", "x"), (1, "a b", "x"), (1, "a b", "x"), (2, None, "x")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, score string")
+    labels = spark.createDataFrame([(1, None, 1), (None, 1, 1), (1, 1, 0)], "doc_id long, quality int, toxic int")
+    got = toxicity.digest(df, labels).collect()
+    assert Counter((r.doc_id, r.held_out) for r in got) == {(None, False): 1, (1, zlib.crc32(b"1") % 5 == 0): 2, (2, zlib.crc32(b"2") % 5 == 0): 1}
+    assert len({r.score for r in got if r.doc_id != 2}) == 1
+
+
 # op8
 
 
