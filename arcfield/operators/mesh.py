@@ -15,8 +15,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from arcfield.deploy import ship
-from arcfield.functions.measure import arc_deg, chord_within, unit_of
+from arcfield.deploy import save, ship
+from arcfield.functions.measure import arc_deg, chord_within, dot_inside, unit_of
 from arcfield.operators.regions import compiled
 from arcfield.operators.spec import Convex, circle_vec
 
@@ -68,6 +68,16 @@ def corners_of(mesh_id: int) -> np.ndarray:
     return t
 
 
+def centers(c: str = "mesh_id", corners: bool = False):
+    """Arrow column: the centre (x, y, z) of each triangle, or its corners one after the other."""
+
+    @F.pandas_udf("array<double>")
+    def call(ids: pd.Series) -> pd.Series:
+        return pd.Series([None if pd.isna(i) else (corners_of(int(i)).ravel() if corners else center_of(int(i))) for i in ids], dtype=object)
+
+    return call(F.col(c))
+
+
 def center_of(mesh_id: int) -> np.ndarray:
     c = corners_of(mesh_id).sum(0)
     return c / np.sqrt(c @ c)
@@ -259,6 +269,17 @@ def mesh_nearest_eq(df: DataFrame, ra: float, dec: float, k: int = 1, kind: str
     return mesh_nearest_xyz(df, *unit_of(ra, dec), k, depth=depth)
 
 
+def region_cover_rows(halfspaces: DataFrame, max_ranges: int = 20, depth: int = DEPTH) -> DataFrame:
+    """(region_id, lo, hi, full) of regions given as half-space rows, one group a region."""
+    ship(halfspaces.sparkSession)
+
+    def work(pdf: pd.DataFrame) -> pd.DataFrame:
+        region = [[tuple(h) for h in g[["x", "y", "z", "l"]].to_numpy()] for _, g in pdf.sort_values(["convex_id", "halfspace_id"]).groupby("convex_id")]
+        return pd.DataFrame([(int(pdf["region_id"].iloc[0]), *c) for c in cover(region, max_ranges, depth)], columns=["region_id", "lo", "hi", "full"])
+
+    return halfspaces.groupBy("region_id").applyInPandas(work, "region_id long, lo long, hi long, full boolean")
+
+
 def cover_rows(circles: DataFrame, max_ranges: int = 20, depth: int = DEPTH) -> DataFrame:
     """(region_id, lo, hi, full) of a column of circles (obj_id, x, y, z, radius), in parallel by rows."""
     ship(circles.sparkSession)
@@ -271,13 +292,34 @@ def cover_rows(circles: DataFrame, max_ranges: int = 20, depth: int = DEPTH) ->
     return circles.select("obj_id", "x", "y", "z", "radius").mapInPandas(work, "region_id long, lo long, hi long, full boolean")
 
 
-def mesh_join(points: DataFrame, circles: DataFrame, max_ranges: int = 20, depth: int = DEPTH, level: int = 5) -> DataFrame:
-    """(obj_id, region_id) by covers: ranges meet points on the ancestor at ``level``, then on the range itself."""
-    s = 2 * (depth - level)
-    rows = cover_rows(circles, max_ranges, depth)
-    rows = rows.withColumn("ancestor", F.explode(F.sequence(F.shiftright("lo", s), F.shiftright("hi", s))))
-    p = points.select("obj_id", "mesh_id", "x", "y", "z", F.shiftright("mesh_id", s).alias("ancestor"))
-    hit = p.join(rows, "ancestor").where(F.col("mesh_id").between(F.col("lo"), F.col("hi")))
+def in_ranges(points: DataFrame, rows: DataFrame, depth: int = DEPTH) -> DataFrame:
+    """Points of a mesh table (obj_id, mesh_id, x, y, z) by the cover ranges (region_id, lo, hi, full) that hold them.
+
+    A range meets points on its ancestors at the level where it spans at most
+    five, so neither a wide range nor a narrow one makes a frequent key.
+    """
+    rows = save(rows.withColumn("level", F.greatest(F.lit(0), F.lit(depth) - F.ceil(F.log2(F.col("hi") - F.col("lo") + 1) / 2)).cast("int")), "covers")
+    shift = 2 * (F.lit(depth) - F.col("level"))
+    rows = rows.withColumn("ancestor", F.explode(F.sequence(F.call_function("shiftright", "lo", shift), F.call_function("shiftright", "hi", shift))))
+    levels = sorted(r[0] for r in rows.select("level").distinct().collect())  # at most depth + 1
+    keys = [F.struct(F.lit(k).alias("level"), F.shiftright("mesh_id", 2 * (depth - k)).alias("ancestor")) for k in levels] or [F.struct(F.lit(0).alias("level"), F.col("mesh_id").alias("ancestor"))]
+    p = points.select("obj_id", "mesh_id", "x", "y", "z", F.inline(F.array(*keys)))
+    return p.join(rows, ["level", "ancestor"]).where(F.col("mesh_id").between(F.col("lo"), F.col("hi"))).select("obj_id", "x", "y", "z", "region_id", "full")
+
+
+def region_join(points: DataFrame, halfspaces: DataFrame, edge: str = "open", max_ranges: int = 20, depth: int = DEPTH) -> DataFrame:
+    """(obj_id, region_id) for any number of regions: covers find candidates, constraint counts decide them."""
+    hit = in_ranges(points if "mesh_id" in points.columns else with_mesh(points, depth), region_cover_rows(halfspaces, max_ranges, depth), depth)
+    sure = hit.where("full").select("obj_id", "region_id")
+    open_ = hit.where("not full").alias("p").join(halfspaces.alias("h"), F.col("p.region_id") == F.col("h.region_id"))
+    broken = ~dot_inside((F.col("h.x"), F.col("h.y"), F.col("h.z")), F.col("h.l"), ("p.x", "p.y", "p.z"), edge)
+    by = open_.groupBy("obj_id", "p.region_id", "convex_id").agg(F.max(broken).alias("broken"))
+    return sure.unionByName(by.where("not broken").select("obj_id", "region_id")).distinct()
+
+
+def mesh_join(points: DataFrame, circles: DataFrame, max_ranges: int = 20, depth: int = DEPTH) -> DataFrame:
+    """(obj_id, region_id) by covers of circles, then the exact distance."""
+    hit = in_ranges(points, cover_rows(circles, max_ranges, depth), depth).drop("full")
     c = circles.select(F.col("obj_id").alias("region_id"), *[F.col(k).alias(f"c{k}") for k in "xyz"], "radius")
     d = (F.col("x") - F.col("cx")) ** 2 + (F.col("y") - F.col("cy")) ** 2 + (F.col("z") - F.col("cz")) ** 2
     inside = d < 4 * F.pow(F.sin(F.radians(F.least("radius", F.lit(180.0))) / 2), 2)
@@ -286,16 +328,18 @@ def mesh_join(points: DataFrame, circles: DataFrame, max_ranges: int = 20, depth
 
 def mesh_neighbors(df: DataFrame, r: float, depth: int = DEPTH) -> DataFrame:
     """Baseline: half pairs by a cover a point."""
-    level = max(0, min(10, int(math.log2(90.0 / r))))
-    pairs = mesh_join(with_mesh(df, depth), df.withColumn("radius", F.lit(float(r))), 12, depth, level)
+    pairs = mesh_join(with_mesh(df, depth), df.withColumn("radius", F.lit(float(r))), 12, depth)
     return pairs.where("region_id < obj_id").select(F.col("region_id").alias("obj_id"), F.col("obj_id").alias("neighbor_id"))
 
 
-def mesh_overlap(circles: DataFrame, ra: float, dec: float, r: float, depth: int = DEPTH) -> DataFrame:
-    """Circles that meet a query circle through covers of both sides: one index for all sizes."""
+def mesh_overlap(circles: DataFrame, ra: float, dec: float, r: float, covers: DataFrame | None = None, depth: int = DEPTH) -> DataFrame:
+    """Circles that meet a query circle through covers of both sides: one index for all sizes.
+
+    ``covers`` are stored ``cover_rows``; without them every circle is covered anew.
+    """
     q = unit_of(ra, dec)
     mine = cover(circle_vec(*q, 60 * r), depth=depth)
-    rows = cover_rows(circles, depth=depth)
+    rows = cover_rows(circles, depth=depth) if covers is None else covers
     hit = F.lit(False)
     for a, b, _ in mine:
         hit = hit | ((F.col("lo") <= b) & (F.col("hi") >= a))

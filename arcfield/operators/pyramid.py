@@ -101,6 +101,22 @@ def pyramid_overlap(cells: DataFrame, ra: float, dec: float, r: float, base: flo
     return out
 
 
+def stored_overlap(spark, path: str, ra: float, dec: float, r: float, base: float, levels: int) -> DataFrame:
+    """``pyramid_overlap`` over what ``write_pyramid`` wrote: a scan for each scale's folder, bounded in zone and ra."""
+    cells = spark.read.parquet(path)
+    largest = largest_radius(cells, levels)
+    spans: dict[tuple[int, int, int], Column] = {}
+    for s, low, high, a, b in candidate_intervals(ra, dec, r, base, levels, largest):
+        spans[s, low, high] = spans.get((s, low, high), F.lit(False)) | F.col("ra").between(a, b)
+    out = None
+    for (s, low, high), window in spans.items():
+        part = cells.where(F.col("scale") == s).where(F.col("zone").between(low, high)).where(window)
+        out = part if out is None else out.unionByName(part)
+    for _, test in overlap_stages(ra, dec, r, base, levels, largest)[2:]:
+        out = out.where(test)
+    return out
+
+
 def selectivity_report(cells: DataFrame, ra: float, dec: float, r: float, base: float, levels: int) -> DataFrame:
     """(radius, zone, index_ra, fine_ra, dec, geometry): rows that survive each filter, in one pass."""
     counts, so_far = [], F.lit(True)

@@ -21,8 +21,10 @@ from arcfield.operators.spec import Convex, buffered, parse_area, region_text
 HALFSPACES = "region_id long, convex_id int, halfspace_id int, x double, y double, z double, l double"
 #: Half-spaces that one compiled predicate may hold: more overflow a generated method.
 COMPILED_LIMIT = 150
-#: Points above which compiling pays.
+#: Points above which compiling pays; c_containment measures it.
 BREAK_EVEN = 1000
+#: Half-space rows that are broadcast; regions of more meet the points through covers.
+MOST_BROADCAST = 20_000
 
 
 @dataclass(frozen=True)
@@ -101,9 +103,11 @@ def packed(region: Column, edge: str = "open") -> Column:
 def convexes_on_point(points: DataFrame, halfspaces: DataFrame, edge: str = "open") -> DataFrame:
     """(obj_id, region_id, convex_id) by counting violated constraints: none may be.
 
-    The half-space table is broadcast, so its size is what the caller proves
-    small; points stream past it, and only (object, convex) sums are shuffled.
+    The half-space table is broadcast, so it may have MOST_BROADCAST rows; points
+    stream past it, and only (object, convex) sums are shuffled.
     """
+    if halfspaces.limit(MOST_BROADCAST + 1).count() > MOST_BROADCAST:
+        raise ValueError(f"more than {MOST_BROADCAST} half-spaces: use regions_on_point, which goes by covers")
     broken = ~dot_inside((F.col("h.x"), F.col("h.y"), F.col("h.z")), F.col("h.l"), ("p.x", "p.y", "p.z"), edge)
     pairs = points.select("obj_id", "x", "y", "z").alias("p").crossJoin(F.broadcast(halfspaces).alias("h"))
     by = pairs.groupBy("obj_id", "region_id", "convex_id").agg(F.sum(broken.cast("int")).alias("broken"))
@@ -111,14 +115,24 @@ def convexes_on_point(points: DataFrame, halfspaces: DataFrame, edge: str = "ope
 
 
 def regions_on_point(points: DataFrame, halfspaces: DataFrame, edge: str = "open") -> DataFrame:
+    """(obj_id, region_id): counted constraints for few regions, covers for many."""
+    if halfspaces.limit(MOST_BROADCAST + 1).count() > MOST_BROADCAST:
+        from arcfield.operators.mesh import region_join
+
+        return region_join(points, halfspaces, edge)
     return convexes_on_point(points, halfspaces, edge).select("obj_id", "region_id").distinct()
 
 
-def points_in_region(points: DataFrame, convexes: list[Convex], how: str = "auto", edge: str = "open") -> DataFrame:
-    """Rows of ``points`` inside: "compiled", "packed", "exists" (constraint counts and a semi-join) or "auto"."""
+def points_in_region(points: DataFrame, convexes: list[Convex], how: str = "auto", edge: str = "open", n_points: int | None = None) -> DataFrame:
+    """Rows of ``points`` inside: "compiled", "packed", "exists" (constraint counts and a semi-join) or "auto".
+
+    "auto" compiles a region of moderate size, unless ``n_points`` says that
+    there are too few points for compiling to pay.
+    """
     size = sum(map(len, convexes))
     if how == "auto":
-        how = "compiled" if size <= COMPILED_LIMIT else "packed"
+        few = n_points is not None and n_points < BREAK_EVEN
+        how = "packed" if few or size > COMPILED_LIMIT else "compiled"
     if how == "compiled":
         return points.where(compiled(convexes, edge))
     if how == "packed":
@@ -260,6 +274,13 @@ def held_by(rows: DataFrame, regions: dict[int, list[Convex]]) -> DataFrame:
     return rows.select("obj_id", "region_id", "b").mapInPandas(work, "obj_id long, region_id int")
 
 
+def regions_near(circles: DataFrame, theta: float, base: float = 0.02, levels: int = 10) -> DataFrame:
+    """(obj_id, other_id): circle regions closer than ``theta`` degrees, overlapping ones included, obj_id the smaller."""
+    from arcfield.operators.pyramid import pyramid_join
+
+    return pyramid_join(circles.withColumn("radius", F.col("radius") + theta / 2), levels, base)
+
+
 def negate_rows(halfspaces: DataFrame) -> DataFrame:
     """Disjoint negation of every one-convex region, as rows: constraint i fails, those before it hold."""
     a = halfspaces.alias("a")

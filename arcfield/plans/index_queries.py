@@ -8,9 +8,10 @@ from pyspark.sql import functions as F
 
 from arcfield.functions import measure as M
 from arcfield.operators import baselines, mesh, pixels, pyramid as P, spec
-from arcfield.operators.zones import nearby_join
+from arcfield.operators.regions import regions_near
 from arcfield.plans.zone_queries import arc_sql, chord_sql, with_views
 from arcfield.sources.catalog import sky, table
+from arcfield.sources.stores import stored
 
 QUERIES, ORACLES = {}, {}
 WIDE, RATIO, LEVELS = 0.02, 0.64, 10
@@ -39,7 +40,8 @@ def cells_of(spark, sf_dir, base):
 
 def _overlap(base: float, r: float):
     def run(spark, sf_dir):
-        return P.pyramid_overlap(cells_of(spark, sf_dir, base), 30.0, 20.0, r, base, LEVELS).select("obj_id", F.round("radius", 6).alias("radius"))
+        path = stored(spark, sf_dir, f"pyramid-{base}", lambda path: P.write_pyramid(cells_of(spark, sf_dir, base), path))
+        return P.stored_overlap(spark, path, 30.0, 20.0, r, base, LEVELS).select("obj_id", F.round("radius", 6).alias("radius"))
 
     return run
 
@@ -68,6 +70,12 @@ def w_pyramid_join_wide(spark, sf_dir):
     return P.pyramid_join(large_parts(spark, sf_dir), LEVELS, WIDE)
 
 
+@query("w_regions_near", f"{with_views('sky_part')} SELECT a.obj_id, b.obj_id AS other_id FROM sky_part a JOIN sky_part b ON a.obj_id < b.obj_id WHERE power(a.x - b.x, 2) + power(a.y - b.y, 2) + power(a.z - b.z, 2) < 4 * power(sin(radians(least(180.0, a.radius + b.radius + 1.5)) / 2), 2)")
+def w_regions_near(spark, sf_dir):
+    """Circle regions within a degree and a half of each other."""
+    return regions_near(sky(spark, sf_dir, "sky_part"), 1.5)
+
+
 @query("w_brute_overlap", f"{with_views('sky_part')} SELECT obj_id FROM sky_part s WHERE {meet_sql(7.0)}")
 def w_brute_overlap(spark, sf_dir):
     return baselines.brute_overlap(sky(spark, sf_dir, "sky_part"), 30.0, 20.0, 7.0).select("obj_id")
@@ -80,20 +88,21 @@ def w_flat_zone_overlap(spark, sf_dir):
 
 @query("w_mesh_overlap", ORACLES["w_pyramid_overlap_350"])
 def w_mesh_overlap(spark, sf_dir):
-    return mesh.mesh_overlap(sky(spark, sf_dir, "sky_part"), 30.0, 20.0, 7.0).select("obj_id", F.round("radius", 6).alias("radius"))
+    parts = sky(spark, sf_dir, "sky_part")
+    covers = stored(spark, sf_dir, "part-covers", lambda path: mesh.cover_rows(parts).repartitionByRange("lo").sortWithinPartitions("lo").write.parquet(path))
+    return mesh.mesh_overlap(parts, 30.0, 20.0, 7.0, spark.read.parquet(covers)).select("obj_id", F.round("radius", 6).alias("radius"))
 
 
 def _stage_sql(base: float, r: float) -> str:
-    zones = {}
-    for s, low, high, a, b in P.candidate_intervals(30.0, 20.0, r, base, LEVELS):
-        zones.setdefault((s, low, high), []).append(f"ra BETWEEN {a!r} AND {b!r}")
-    zone = " OR ".join(f"(scale = {s} AND zone BETWEEN {lo} AND {hi})" for s, lo, hi in zones)
-    coarse = " OR ".join(f"(scale = {s} AND zone BETWEEN {lo} AND {hi} AND ({' OR '.join(w)}))" for (s, lo, hi), w in zones.items())
+    """The five filters as the definitions read, over the columns of a cell."""
+    height = f"({base!r} * power(2.0, scale))"
+    last, reach = f"(ceil(180.0 / {height}) - 1)", f"least(180.0, {r} + {height})"
+    edge = lambda d: f"greatest(0, least({last}, floor(({d} + 90.0) / {height})))"
+    width = lambda arc: f"CASE WHEN 20.0 + {arc} >= 90.0 THEN 180.0 ELSE least(180.0, degrees(asin(least(1.0, sin(radians({arc})) / cos(radians(20.0))))) + 1e-9) END"
     own = f"least(180.0, radius + {r})"
-    width = f"CASE WHEN 20.0 + {own} >= 90.0 THEN 180.0 ELSE least(180.0, degrees(asin(least(1.0, sin(radians({own})) / cos(radians(20.0))))) + 1e-9) END"
     gap = "abs((ra - 30.0 + 180 - 360 * floor((ra - 30.0 + 180) / 360)) - 180)"
-    tests = [f"({zone})", f"({coarse})", f"({gap} <= {width})", f'abs("dec" - 20.0) <= {own} + 1e-9', meet_sql(r, "c")]
-    counts = ", ".join(f"count(*) FILTER ({' AND '.join(tests[: k + 1])}) AS rows_{n}" for k, n in enumerate(("zone", "index_ra", "fine_ra", "dec", "geometry")))
+    tests = [f"zone BETWEEN {edge(f'20.0 - {reach}')} AND {edge(f'20.0 + {reach}')}", f"{gap} <= {width(reach)}", f"{gap} <= {width(own)}", f'abs("dec" - 20.0) <= {own} + 1e-9', meet_sql(r, "c")]
+    counts = ", ".join(f"count(*) FILTER ({' AND '.join(f'({t})' for t in tests[: k + 1])}) AS rows_{n}" for k, n in enumerate(("zone", "index_ra", "fine_ra", "dec", "geometry")))
     return f"SELECT {float(r)!r}::DOUBLE AS query_radius, {counts} FROM c"
 
 
@@ -204,7 +213,8 @@ def w_segment_stats(spark, sf_dir):
 
 
 def mesh_points(spark, sf_dir, view="sky_orders"):
-    return mesh.with_mesh(sky(spark, sf_dir, view))
+    """The view clustered by mesh id, written once."""
+    return spark.read.parquet(stored(spark, sf_dir, f"mesh-{view}", lambda path: mesh.write_mesh(sky(spark, sf_dir, view), path)))
 
 
 @query("w_mesh_select", f"{with_views('sky_orders')} SELECT obj_id FROM sky_orders s WHERE {chord_sql(30.0, 20.0, 5.0)} OR (s.z > 0.9 AND s.x > 0.1)")
@@ -274,6 +284,29 @@ def w_mesh_areas(spark, sf_dir):
     return spark.createDataFrame(rows, "level int, triangles int, smallest double, mean double, largest double, total double")
 
 
+@query("w_mesh_regions", f"{with_views('sky_customer', 'sky_part')} SELECT o.obj_id, c.obj_id AS region_id FROM sky_customer o, sky_part c WHERE power(c.x - o.x, 2) + power(c.y - o.y, 2) + power(c.z - o.z, 2) < 4 * power(sin(radians(least(c.radius, 180.0)) / 2), 2) AND o.z > c.z")
+def w_mesh_regions(spark, sf_dir):
+    """Regions of two constraints, the northern part of each circle, through bulk covers of half-space rows."""
+    parts = sky(spark, sf_dir, "sky_part")
+    circle = parts.select(F.col("obj_id").alias("region_id"), F.lit(0).alias("convex_id"), F.lit(0).alias("halfspace_id"), "x", "y", "z", F.cos(F.radians("radius")).alias("l"))
+    north = parts.select(F.col("obj_id").alias("region_id"), F.lit(0).alias("convex_id"), F.lit(1).alias("halfspace_id"), F.lit(0.0).alias("x"), F.lit(0.0).alias("y"), F.lit(1.0).alias("z"), F.col("z").alias("l"))
+    return mesh.region_join(mesh_points(spark, sf_dir, "sky_customer"), circle.unionByName(north))
+
+
+@query("w_mesh_centers", f"{with_views('sky_supplier')} SELECT count(*) AS objects, count(*) AS inside FROM sky_supplier")
+def w_mesh_centers(spark, sf_dir):
+    """Each object lies in its triangle: within reach of the centre and on the inner side of the three edges."""
+    rows = mesh_points(spark, sf_dir, "sky_supplier").withColumn("cell", mesh.mesh_parent("mesh_id", mesh.DEPTH - 8))
+    rows = rows.withColumn("c", mesh.centers("cell")).withColumn("k", mesh.centers("cell", corners=True))
+    at = lambda i, j: F.get("k", F.lit(3 * i + j))
+    inner = F.lit(True)
+    for a, b in ((0, 1), (1, 2), (2, 0)):
+        n = [at(a, (j + 1) % 3) * at(b, (j + 2) % 3) - at(a, (j + 2) % 3) * at(b, (j + 1) % 3) for j in range(3)]
+        side = lambda v: n[0] * v[0] + n[1] * v[1] + n[2] * v[2]
+        inner = inner & (side([F.col(x) for x in "xyz"]) * F.signum(side([F.get("c", F.lit(j)) for j in range(3)])) >= -1e-12)
+    return rows.agg(F.count("*").alias("objects"), F.count_if(inner).alias("inside"))
+
+
 _N = 4
 _PIX = f"""{with_views('sky_orders')}, a AS (SELECT z, abs(z) AS za, (ra / 90.0) - 4 * floor(ra / 360.0) AS tt FROM sky_orders), b AS (
   SELECT z, za, tt, floor({_N} * (0.5 + tt - z * 0.75)) AS jp, floor({_N} * (0.5 + tt + z * 0.75)) AS jm, {_N} * sqrt(3 * (1 - za)) AS tmp FROM a

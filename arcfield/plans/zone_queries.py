@@ -9,6 +9,7 @@ from arcfield.functions import measure as M
 from arcfield.functions.frames import matrix
 from arcfield.operators import baselines, neighbors as N, zones as Z
 from arcfield.sources.catalog import sky, sky_vectors, view_sql
+from arcfield.sources.stores import ZoneStore, stored
 
 QUERIES, ORACLES = {}, {}
 
@@ -36,9 +37,14 @@ def arc_sql(a: str, b: str) -> str:
     return f"degrees(2 * asin(least(1.0, sqrt(power({a}x - {b}x, 2) + power({a}y - {b}y, 2) + power({a}z - {b}z, 2)) / 2)))"
 
 
+def zone_store(spark: SparkSession, sf_dir: str) -> ZoneStore:
+    """The orders clustered by zone, written once."""
+    return ZoneStore(stored(spark, sf_dir, "orders-by-zone", lambda path: ZoneStore(path).write(sky(spark, sf_dir, "sky_orders"), 1.0)))
+
+
 def _nearby(ra: float, dec: float, r: float):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return Z.nearby(sky(spark, sf_dir, "sky_orders"), ra, dec, r).select("obj_id", F.round("distance_deg", 6).alias("distance_deg"))
+        return zone_store(spark, sf_dir).nearby(spark, ra, dec, r).select("obj_id", F.round("distance_deg", 6).alias("distance_deg"))
 
     x, y, z = M.unit_of(ra, dec)
     dist = f"degrees(2 * asin(least(1.0, sqrt(power(s.x - {x!r}, 2) + power(s.y - {y!r}, 2) + power(s.z - {z!r}, 2)) / 2)))"

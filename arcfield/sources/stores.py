@@ -8,7 +8,7 @@ import math
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from arcfield.deploy import ship
+from arcfield.deploy import scratch, ship
 from arcfield.operators.zones import nearby, zone_of
 
 SCHEMAS = {
@@ -17,6 +17,19 @@ SCHEMAS = {
 }
 
 
+_STORED: dict[tuple[str, str, str], str] = {}
+
+
+def stored(spark: SparkSession, source: str, name: str, write) -> str:
+    """Path of a layout of the tables in ``source``; ``write(path)`` makes it once an application."""
+    key = (spark.sparkContext.applicationId, source, name)
+    if key not in _STORED:
+        path = scratch(spark, name)
+        write(path)
+        _STORED[key] = path
+    return _STORED[key]
+
+
 class ZoneStore:
     """Zone rows in folders of declination bands, files range-sorted by (zone, ra).
 

@@ -41,3 +41,35 @@ def test_whole_sort_places_every_row(spark, sf):
     rows = QUERIES["o_sort_space"](spark, sf).where("place is not null").collect()
     n = sky(spark, sf, "sky_customer").count()
     assert [r.place for r in sorted(rows, key=lambda r: r.place)] == list(range(1, n + 1))
+
+
+def test_pyramid_store_prunes(spark, sf):
+    """A scan for each scale's folder, bounded in zone and ra."""
+    from arcfield.operators import pyramid as P
+
+    path = scratch(spark, "pyramid")
+    P.write_pyramid(P.build_pyramid(sky(spark, sf, "sky_part"), 0.02, 10), path)
+    text = plan(P.stored_overlap(spark, path, 30.0, 20.0, 0.2, 0.02, 10)).split("== Physical Plan ==")[1]
+    scans = [line for line in text.splitlines() if "FileScan parquet" in line]
+    assert len(scans) == 10
+    for line in scans:
+        folder, pushed = line.split("PartitionFilters: ")[1].split("PushedFilters: ")
+        assert "scale#" in folder and "IsNotNull(zone)" in pushed and "IsNotNull(ra)" in pushed
+
+
+def test_mesh_store_prunes(spark, sf):
+    from arcfield.operators import mesh
+
+    path = scratch(spark, "mesh")
+    mesh.write_mesh(sky(spark, sf, "sky_orders"), path)
+    found = mesh.mesh_nearby_eq(spark.read.parquet(path), 30.0, 20.0, 1.0)
+    text = plan(found)
+    assert text.split("PushedFilters: [")[1].split("]")[0].count("Or(") > 3 and re.search(r"mesh_id#\d+L >= \d+", text)
+
+
+def test_lookup_reads_a_range_of_objects(spark, sf):
+    store = N.NeighborStore(scratch(spark, "neighbors")).write(sky(spark, sf, "sky_customer"), 2.0)
+    one = store.read(spark).first().obj_id
+    assert f"EqualTo(obj_id,{one})" in plan(store.lookup(spark, one))
+    ranges = [(r.low, r.high) for r in store.read(spark).groupBy("_metadata.file_name").agg({"obj_id": "min"}).withColumnRenamed("min(obj_id)", "low").join(store.read(spark).groupBy("_metadata.file_name").agg({"obj_id": "max"}).withColumnRenamed("max(obj_id)", "high"), "file_name").collect()]
+    assert all(b < c for (_, b), (c, _) in zip(sorted(ranges), sorted(ranges)[1:]))
