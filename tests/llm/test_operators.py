@@ -461,7 +461,7 @@ def test_every_full_window_keeps_the_shares(spark):
     full = [c for c in held.values() if sum(c.values()) == packing.WINDOW]
     off = max(abs(c[s] - w * packing.WINDOW) for c in full for s, w in share.items())
     assert len(full) > 300 and len(held) - len(full) <= 1
-    assert off <= 3 * packing.QUANTUM
+    assert off <= 1.5 * packing.QUANTUM
     # a piece for each source and for each document that begins, at most
     assert len(rows) <= len(held) * len(share) + docs.count() + total / packing.CHUNK
 
