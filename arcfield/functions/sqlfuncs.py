@@ -23,10 +23,19 @@ def register(spark: SparkSession) -> None:
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION chord_within({six}, r DOUBLE) RETURNS BOOLEAN RETURN {d2} < 4 * power(sin(radians(least(r, 180.0D)) / 2), 2)")
     spark.udf.register("mesh_id", mesh_id())
     spark.udtf.register("mesh_cover", F.udtf(MeshCover, returnType="lo: long, hi: long, full: boolean"))
+    spark.udtf.register("null_rows", F.udtf(NullRows, returnType="k: long"))
     spark.udtf.register("parse_region", F.udtf(ParseRegion, returnType="convex_id: int, halfspace_id: int, x: double, y: double, z: double, l: double, error: string"))
     spark.udtf.register("candidate_zones", F.udtf(CandidateZones, returnType="scale: int, zone: int, reach: double"))
 
 
+class NullRows:
+    """As many rows as asked for, and nothing else: what a table function costs by itself."""
+
+    def eval(self, n: int):
+        for k in range(n):
+            yield (k,)
+
+
 class MeshCover:
     """Leaf ranges of an area text."""
 

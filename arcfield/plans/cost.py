@@ -14,6 +14,7 @@ from arcfield.operators import baselines as B
 from arcfield.operators import mesh, neighbors as N, pyramid as P, regions as R, spec, zones as Z
 from arcfield.plans.region_queries import regions_of
 from arcfield.sources.catalog import sky
+from arcfield.sources.stores import ZoneStore, stored
 
 QUERIES, ORACLES = {}, {}
 
@@ -94,37 +95,70 @@ def c_mirror(spark, sf_dir):
 
 @query("c_zone_height_sweep")
 def c_zone_height_sweep(spark, sf_dir):
-    """Point calls by radius and zone height: candidates in zone and window, and the ratio to the radius' best."""
+    """Point calls by radius and zone height: candidates in zone and window, seconds of the call over a store of that height, and both ratios to the radius' best."""
     from pyspark.sql import Window as W
 
-    df, rows = sky(spark, sf_dir, "sky_orders"), None
+    df, rows = sky(spark, sf_dir, "sky_orders"), []
     for h in (0.25, 1.0, 4.0, 16.0):
-        zoned = df.withColumn("zone", Z.zone_of(F.col("dec"), h))
+        store = ZoneStore(stored(spark, sf_dir, f"zones-{h}", lambda path, h=h: ZoneStore(path).write(df, h)))
+        zoned = store.read(spark)
         for r in (0.5, 2.0, 8.0):
             low, high = Z.zone_span(20.0, r, h)
             window = F.lit(False)
             for a, b in Z.ra_windows(30.0, Z.window_width(20.0, r, "exact")):
                 window = window | F.col("ra").between(a, b)
-            part = zoned.agg(F.count_if(F.col("zone").between(low, high) & window).alias("candidates")).select(F.lit(r).alias("radius"), F.lit(h).alias("h"), F.lit(high - low + 1).alias("zones"), "candidates")
-            rows = part if rows is None else rows.unionByName(part)
-    return rows.withColumn("ratio", F.col("candidates") / F.min("candidates").over(W.partitionBy("radius")))
+            candidates = zoned.where(F.col("zone").between(low, high) & window).count()
+            call = store.nearby(spark, 30.0, 20.0, r)
+            seconds(call)
+            rows.append((r, h, high - low + 1, candidates, min(seconds(call) for _ in range(2))))
+    out = spark.createDataFrame(rows, "radius double, h double, zones int, candidates long, seconds double")
+    by = W.partitionBy("radius")  # a dozen rows
+    return out.withColumn("ratio", F.try_divide(F.col("candidates"), F.min("candidates").over(by))).withColumn("time_ratio", F.col("seconds") / F.min("seconds").over(by))
 
 
 @query("c_containment")
 def c_containment(spark, sf_dir):
-    """Containment forms over the same points: half-space tests a second, microseconds a point, compile milliseconds."""
+    """Containment forms over the same points: fixed and per-point cost, tests and convexes a second, break-even.
+
+    ``break_even_points`` is where the compiled predicate's fixed cost, with
+    what building it takes, is made up for by its cheaper points; null where it
+    never costs more, or never less.
+    """
     points = sky(spark, sf_dir, "sky_lineitem").select("obj_id", "x", "y", "z").cache()
     n, region = points.count(), regions_of(spark, sf_dir)[0]
-    size, rows = sum(map(len, region)), []
+    size, rows, few = sum(map(len, region)), [], points.where(F.col("obj_id") % 16 == 0).cache()
+    n_few = few.count()
     for how in ("compiled", "packed", "exists"):
         began = time.time()
-        plan = R.points_in_region(points, region, how)
-        built = time.time() - began
-        seconds(plan)
-        took = seconds(plan)
-        rows.append((how, n, size, took, n * size / took, 1e6 * took / n, 1000 * built))
-    points.unpersist()
-    return spark.createDataFrame(rows, "form string, points long, halfspaces int, seconds double, tests_per_second double, us_per_point double, build_ms double")
+        R.points_in_region(points, region, how)._jdf.queryExecution().executedPlan()
+        built, took = time.time() - began, []
+        for part in (few, points):
+            seconds(R.points_in_region(part, region, how))
+            took.append(min(seconds(R.points_in_region(part, region, how)) for _ in range(2)))
+        slope = max(0.0, (took[1] - took[0]) / max(1, n - n_few))
+        rows.append((how, n, size, len(region), took[1], n * size / took[1], n * len(region) / took[1], 1e6 * took[1] / n, 1000 * built, max(0.0, took[0] - slope * n_few), slope))
+    points.unpersist(), few.unpersist()
+    fixed, slope = rows[0][9] + rows[0][8] / 1000, rows[0][10]
+    out = []
+    for r in rows:
+        gain, extra = r[10] - slope, fixed - (r[9] + r[8] / 1000)
+        out.append((*r, extra / gain if r[0] != "compiled" and gain > 0 and extra > 0 else None))
+    return spark.createDataFrame(out, "form string, points long, halfspaces int, convexes int, seconds double, tests_per_second double, convexes_per_second double, us_per_point double, build_ms double, fixed_seconds double, seconds_per_point double, break_even_points double")
+
+
+@query("c_cover_cost")
+def c_cover_cost(spark, sf_dir):
+    """Milliseconds of a cover by shape and budget, of one id, and ranges returned: the mesh code alone, without a call."""
+    shapes = {"circle 0.05": spec.circle_sky(30.0, 20.0, 3.0), "circle 5": spec.circle_sky(30.0, 20.0, 300.0), "rectangle": spec.parse_area("RECT J2000 10 10 12 11"), "footprints": regions_of(spark, sf_dir)[0]}
+    rows = []
+    for name, region in shapes.items():
+        for budget in (10, 20, 40):
+            mesh.cover(region, budget)
+            began = time.time()
+            for _ in range(5):
+                found = mesh.cover(region, budget)
+            rows.append((name, budget, len(found), 200.0 * (time.time() - began)))
+    return spark.createDataFrame(rows, "shape string, budget int, ranges int, milliseconds double")
 
 
 @query("c_call_cost")
@@ -149,14 +183,28 @@ def c_call_cost(spark, sf_dir):
         "mesh id, Arrow": lambda d: d.select(mesh.mesh_id()("x", "y", "z")),
         "mesh id, pickled": lambda d: d.select(mesh.mesh_id_row()("x", "y", "z")),
     }
-    rows = []
+    rows, n = [], df.count()
+    sizes = (n // 10, n)
     for name, call in calls.items():
-        seconds(call(df.limit(10)))
-        for n in (500, 2000):
-            rows.append((name, n, seconds(call(df.limit(n)))))
-    fit = spark.createDataFrame(rows, "call string, n long, seconds double").groupBy("call").agg(F.regr_intercept("seconds", "n").alias("fixed_seconds"), F.regr_slope("seconds", "n").alias("seconds_per_row"))
+        parts = [df.limit(m).cache() for m in sizes]
+        for m, part in zip(sizes, parts):
+            part.count()
+            seconds(call(part))
+            rows.append((name, m, min(seconds(call(part)) for _ in range(2))))
+            part.unpersist()
+    # a call of a table function, a + b R: by the rows that it returns
+    for name, text in {"null, table": "null_rows({m})", "mesh cover, table": None}.items():
+        for m in (1, 1000, 100_000):
+            if text is None and m > 1:
+                break
+            made = text.format(m=m) if text else "mesh_cover('CIRCLE J2000 30 20 30')"
+            plan = spark.sql(f"SELECT * FROM {made}")
+            seconds(plan)
+            returned = plan.count()
+            rows.append((name, returned, min(seconds(plan) for _ in range(2))))
+    fit = spark.createDataFrame(rows, "call string, n long, seconds double").groupBy("call")
     df.unpersist()
-    return fit
+    return fit.agg(F.coalesce(F.regr_intercept("seconds", "n"), F.min("seconds")).alias("fixed_seconds"), F.regr_slope("seconds", "n").alias("seconds_per_row"), F.max("n").alias("rows"))
 
 
 @query("c_cover_stats")
@@ -173,7 +221,7 @@ def c_acceptance(spark, sf_dir):
     for r in (7.0, 20.0):
         part = P.selectivity_report(cells, 30.0, 20.0, r, 0.02, 10)
         out = part if out is None else out.unionByName(part)
-    return out.select("query_radius", (F.col("rows_geometry") / F.col("rows_dec")).alias("kept"), F.lit(0.785398).alias("quarter_pi"))
+    return out.select("query_radius", F.try_divide("rows_geometry", "rows_dec").alias("kept"), F.lit(0.785398).alias("quarter_pi"))
 
 
 @query("c_pyramid_vs_brute")
