@@ -22,12 +22,29 @@ def register(spark: SparkSession) -> None:
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION arc_deg({six}) RETURNS DOUBLE RETURN degrees(2 * asin(least(1.0D, sqrt({d2}) / 2)))")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION chord_within({six}, r DOUBLE) RETURNS BOOLEAN RETURN {d2} < 4 * power(sin(radians(least(r, 180.0D)) / 2), 2)")
     spark.udf.register("mesh_id", mesh_id())
+    # pixel numbers in ring order at nside 4
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION pixel_id(z DOUBLE, ra DOUBLE) RETURNS BIGINT RETURN {_PIXEL}")
     spark.udtf.register("mesh_cover", F.udtf(MeshCover, returnType="lo: long, hi: long, full: boolean"))
     spark.udtf.register("null_rows", F.udtf(NullRows, returnType="k: long"))
     spark.udtf.register("parse_region", F.udtf(ParseRegion, returnType="convex_id: int, halfspace_id: int, x: double, y: double, z: double, l: double, error: string"))
     spark.udtf.register("candidate_zones", F.udtf(CandidateZones, returnType="scale: int, zone: int, reach: double"))
 
 
+def _pixel_sql() -> str:
+    """``ring_pixel`` at nside 4 as SQL text."""
+    n, tt = 4, "pmod(ra / 90.0D, 4.0D)"
+    jp, jm = f"floor({n} * (0.5D + {tt} - z * 0.75D))", f"floor({n} * (0.5D + {tt} + z * 0.75D))"
+    ir = f"({n + 1} + {jp} - {jm})"
+    belt = f"({2 * n * (n - 1)} + ({ir} - 1) * {4 * n} + pmod(floor(({jp} + {jm} - {n} + IF({ir} % 2 = 0, 1, 0) + 1) / 2), {4 * n}))"
+    tmp, tp = f"({n} * sqrt(3 * (1 - abs(z))))", f"({tt} - floor({tt}))"
+    ring = f"(floor({tp} * {tmp}) + floor((1 - {tp}) * {tmp}) + 1)"
+    at = f"pmod(floor({tt} * {ring}), 4 * {ring})"
+    return f"CAST(CASE WHEN abs(z) <= 2.0D / 3 THEN {belt} WHEN z > 0 THEN 2 * {ring} * ({ring} - 1) + {at} ELSE {12 * n * n} - 2 * {ring} * ({ring} + 1) + {at} END AS BIGINT)"
+
+
+_PIXEL = _pixel_sql()
+
+
 class NullRows:
     """As many rows as asked for, and nothing else: what a table function costs by itself."""
 

@@ -42,6 +42,18 @@ def ring_latitude(ring: Column, order: int) -> Column:
     return F.when(ring < n, 1 - ring * ring / F.lit(3.0 * n * n)).when(ring > 3 * n, (4 * n - ring) * (4 * n - ring) / F.lit(3.0 * n * n) - 1).otherwise((2 * n - ring) * 2 / F.lit(3.0 * n))
 
 
+def pixel_center(pixel: Column, order: int) -> tuple[Column, Column]:
+    """(z, ra) of a pixel's centre, for pixels in ring order."""
+    n = 2**order
+    ring, cap = ring_of(pixel, order), 2 * n * (n - 1)
+    north, south = pixel < cap, pixel >= 12 * n * n - cap
+    # pixels of a ring, the first one's number, and how far its centre lies from the zero meridian, in pixels
+    many = F.when(north, 4 * ring).when(south, 4 * (4 * n - ring)).otherwise(4 * n)
+    first = F.when(north, 2 * ring * (ring - 1)).when(south, 12 * n * n - 2 * (4 * n - ring) * (4 * n - ring + 1)).otherwise(cap + (ring - n) * 4 * n)
+    lead = F.when(north | south | (F.pmod(ring - n, F.lit(2)) == 0), 0.5).otherwise(0.0)
+    return ring_latitude(ring, order), (pixel - first + lead) * 360.0 / many
+
+
 def nested_pixel(z: Column, ra: Column, order: int) -> Column:
     """Pixel number in nested order: the base pixel, then two bits a level."""
     n = 2**order

@@ -7,6 +7,7 @@ import math
 from pyspark.sql import functions as F
 
 from arcfield.functions import measure as M
+from arcfield.functions.sqlfuncs import register
 from arcfield.operators import baselines, mesh, pixels, pyramid as P, spec
 from arcfield.operators.regions import regions_near
 from arcfield.plans.zone_queries import arc_sql, chord_sql, with_views
@@ -321,11 +322,39 @@ def w_pixel_density(spark, sf_dir):
     return pixels.pixel_density(sky(spark, sf_dir, "sky_orders"), 2).select("pixel", "objects")
 
 
-@query("w_pixel_nested", f"SELECT count(*) AS pixels, 15000::BIGINT * 0 + sum(objects)::BIGINT AS objects FROM ({_PIX}) p")
+@query("w_pixel_centers", "SELECT 192::BIGINT AS pixels, 192::BIGINT AS same, 4::BIGINT AS corners")
+def w_pixel_centers(spark, sf_dir):
+    """Every pixel's centre lies in that pixel, and rings of centres sum to nothing; all four octant seams occur."""
+    p = spark.range(12 * 16).withColumnRenamed("id", "pixel")
+    z, ra = pixels.pixel_center(F.col("pixel"), 2)
+    p = p.select("pixel", z.alias("z"), ra.alias("ra")).withColumn("again", pixels.ring_pixel(F.col("z"), F.col("ra"), 2))
+    return p.agg(F.count("*").alias("pixels"), F.count_if(F.col("again") == F.col("pixel")).alias("same"), F.countDistinct(F.floor(F.col("ra") / 90)).alias("corners"))
+
+
+@query("w_pixel_near_center", f"{with_views('sky_orders')} SELECT count(*) AS objects, count(*) AS near FROM sky_orders")
+def w_pixel_near_center(spark, sf_dir):
+    """Objects whose pixel's centre is as near as a pixel is wide: all."""
+    o = sky(spark, sf_dir, "sky_orders").withColumn("pixel", pixels.ring_pixel(F.col("z"), F.col("ra"), 2))
+    z, ra = pixels.pixel_center(F.col("pixel"), 2)
+    o = o.withColumn("cz", z).withColumn("cra", F.radians(ra)).withColumn("flat", F.sqrt(1 - F.col("cz") * F.col("cz")))
+    dot = F.col("x") * F.col("flat") * F.cos("cra") + F.col("y") * F.col("flat") * F.sin("cra") + F.col("z") * F.col("cz")
+    return o.agg(F.count("*").alias("objects"), F.count_if(F.degrees(F.acos(F.least(F.lit(1.0), dot))) < 17.0).alias("near"))
+
+
+@query("w_pixel_sql", ORACLES["w_pixel_density"])
+def w_pixel_sql(spark, sf_dir):
+    """Pixel counts through the SQL function."""
+    register(spark)
+    sky(spark, sf_dir, "sky_orders").createOrReplaceTempView("pixel_orders")
+    return spark.sql("SELECT pixel_id(z, ra) AS pixel, count(*) AS objects FROM pixel_orders GROUP BY 1")
+
+
+@query("w_pixel_nested", f"SELECT (SELECT count(*) FROM ({_PIX}) p) AS pixels, (SELECT count(*) FROM orders) AS objects, (SELECT count(*) FROM ({_PIX}) p) AS pairs")
 def w_pixel_nested(spark, sf_dir):
-    """Nested numbering has as many pixels in use as ring numbering, and loses no object."""
-    p = pixels.nested_pixel(F.col("z"), F.col("ra"), 2)
-    return sky(spark, sf_dir, "sky_orders").groupBy(p.alias("pixel")).count().agg(F.count("*").alias("pixels"), F.sum("count").alias("objects"))
+    """Nested numbers stand for the same pixels as ring numbers, one to one, and lose no object."""
+    o = sky(spark, sf_dir, "sky_orders").select(pixels.nested_pixel(F.col("z"), F.col("ra"), 2).alias("nested"), pixels.ring_pixel(F.col("z"), F.col("ra"), 2).alias("ring"))
+    by = o.groupBy("nested", "ring").agg(F.count("*").alias("n"))
+    return by.agg(F.countDistinct("nested").alias("pixels"), F.sum("n").alias("objects"), F.count("*").alias("pairs"))
 
 
 @query("w_ring_moments")

@@ -7,6 +7,7 @@ import math
 from pyspark.sql import functions as F
 
 from arcfield.functions import measure as M
+from arcfield.functions.sqlfuncs import register
 from arcfield.operators import pyramid as P
 from arcfield.operators import regions as R
 from arcfield.operators import simplify as S
@@ -257,3 +258,41 @@ def w_metric_pivots(spark, sf_dir):
 @query("w_quadratic", f"{with_views('sky_orders')} SELECT obj_id FROM sky_orders WHERE 2 * x * x + x * y - 0.5 * z > 0.4")
 def w_quadratic(spark, sf_dir):
     return sky(spark, sf_dir, "sky_orders").where(M.quad_inside({"xx": 2.0, "xy": 1.0, "z": -0.5, "": -0.4})).select("obj_id")
+
+
+# area text: each form against its half-spaces, written out
+
+
+def _text(text: str):
+    def run(spark, sf_dir):
+        return R.points_in_region(sky(spark, sf_dir, "sky_orders"), spec.parse_area(text)).select("obj_id")
+
+    return run
+
+
+for _name, _area, _where in (
+    ("w_text_hull", "CHULL J2000 0 0 30 30 90 0 20 40 0 90 60 10", "x > 0 AND y > 0 AND z > 0"),
+    ("w_text_hull_vec", "CHULL CARTESIAN 1 0 0 1 1 -1 0 0 -1 0 1 0", "x > 0 AND y > 0 AND z < 0"),
+    ("w_text_poly_vec", "POLY CARTESIAN -1 0 0 0 0 1 0 2 0", "x < 0 AND y > 0 AND z > 0"),
+    ("w_text_region", "REGION CONVEX 0 0 1 0.5 CONVEX 1 0 0 0.9 0 1 0 -0.1", "z > 0.5 OR (x > 0.9 AND y > -0.1)"),
+    ("w_text_convex", "convex 0 0 2 1 0 -1 0 0.25", "z > 0.5 AND -y > 0.25"),
+    ("w_text_rect", "RECT J2000 350 -10 20 30", "(ra > 350 OR ra < 20) AND z > sin(radians(-10.0)) AND z < sin(radians(30.0))"),
+):
+    QUERIES[_name] = _text(_area)
+    ORACLES[_name] = f"{with_views('sky_orders')} SELECT obj_id FROM sky_orders WHERE {_where}"
+
+
+@query("w_text_round_trip", f"{_BASE} SELECT obj_id FROM sky_orders o WHERE {_IN.format(k=0)}")
+def w_text_round_trip(spark, sf_dir):
+    """A region written as text and read again holds the same points."""
+    return R.points_in_region(sky(spark, sf_dir, "sky_orders"), spec.parse_area(spec.region_text(regions_of(spark, sf_dir)[0]))).select("obj_id")
+
+
+@query("w_parse_region", "SELECT k, convex_id, halfspace_id, round(x, 9) AS x, round(y, 9) AS y, round(z, 9) AS z, round(l, 9) AS l, error FROM (VALUES ('circle', 0, 0, cos(radians(30.0)) * cos(radians(20.0)), sin(radians(30.0)) * cos(radians(20.0)), sin(radians(20.0)), cos(radians(0.05)), false), ('convex', 0, 0, 0.6e0, 0.8e0, 0.0e0, 0.1e0, false), ('convex', 1, 0, 0.0e0, 0.0e0, -1.0e0, 0.2e0, false), ('junk', NULL, NULL, NULL, NULL, NULL, NULL, true)) t(k, convex_id, halfspace_id, x, y, z, l, error)")
+def w_parse_region(spark, sf_dir):
+    """The table function, a lateral call for each text: coordinates of every half-space, an error where there is none."""
+    register(spark)
+    texts = [("circle", "CIRCLE J2000 30 20 3"), ("convex", "REGION CONVEX 0.6 0.8 0 0.1 CONVEX 0 0 -1 0.2"), ("junk", "BLOB 1 2 3")]
+    spark.createDataFrame(texts, "k string, area string").createOrReplaceTempView("area_texts")
+    cols = ", ".join(f"round({c}, 9) AS {c}" for c in "xyzl")
+    return spark.sql(f"SELECT k, convex_id, halfspace_id, {cols}, error IS NOT NULL AS error FROM area_texts, LATERAL parse_region(area)")
