@@ -263,7 +263,11 @@ def digest(docs: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, width: int = 3) -> DataFrame:
-    """``docs`` (with column doc_id) less all but the smallest id of each near-duplicate group."""
+    """``docs`` (with column doc_id) less all but the smallest id of each near-duplicate group.
+
+    Rows that share that id stay all; so does a row without an id.  Null and
+    empty texts are copies of each other.  An empty table stays empty.
+    """
     found = simhash_components(docs, width=width)
     gone = found.where("doc_id > component_id").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)

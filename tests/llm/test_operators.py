@@ -168,6 +168,16 @@ def test_upper_nodes_part_most_pairs_of_the_documents(spark):
     assert counts["parted"] > counts["met"] / 2 and counts["compared"] < len(g) ** 2 / 50
 
 
+def test_simhash_edges(spark):
+    """Null and repeated ids, null and empty texts, clashing columns."""
+    rows = [(None, "a b c d", 1), (3, "a b c d", 1), (3, "a b c d", 1), (5, None, 1), (6, "", 1), (7, " \n", 1)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, fp long").withColumn("root", F.lit("x")).withColumn("node", F.lit(2))
+    got = Counter((r.doc_id, r.component_id) for r in simhash.digest(df).collect())
+    assert got == {(None, 3): 1, (3, 3): 2, (5, 5): 1, (6, 5): 1, (7, 5): 1}
+    kept = simhash.keep_one(df)
+    assert kept.columns == df.columns and Counter(r.doc_id for r in kept.collect()) == {None: 1, 3: 2, 5: 1}
+
+
 def test_components(spark):
     edges = [(k, k + 1) for k in range(40)] + [(100, 101), (101, 100), (7, 7), (200, 300), (None, 3)]
     got = {r.node: r.root for r in C.components(spark.createDataFrame(edges, "a long, b long"), "a", "b").collect()}
