@@ -144,18 +144,11 @@ def digest(docs: DataFrame) -> DataFrame:
     return out.select("doc_id", "size", "source_size", "target", "taken", "passes", F.round("position", 9).alias("position"))
 
 
-def _sql_position() -> str:
-    def one(knots) -> str:
-        out, following = "", None
-        for t, done, w, slope in reversed(segments(knots)):
-            due = f"(share - {done!r}::DOUBLE)"
-            at = f"(CASE WHEN {due} <= 0 THEN {t!r}::DOUBLE ELSE {t!r}::DOUBLE + 2 * {due} / ({w!r}::DOUBLE + sqrt(greatest(0.0::DOUBLE, {w * w!r}::DOUBLE + {2 * slope!r}::DOUBLE * {due}))) END)"
-            out = at if following is None else f"(CASE WHEN share < {following!r}::DOUBLE THEN {at} ELSE {out} END)"
-            following = done
-        return f"least(1.0::DOUBLE, {out})"
-
-    return "CASE turn " + " ".join(f"WHEN {k} THEN {one(s)}" for k, s in enumerate(SCHEDULES)) + " END"
-
+# SCHEDULES integrated and inverted by hand: one falls, one rises, one does both
+_POSITION = """CASE turn
+    WHEN 0 THEN 1.5::DOUBLE - sqrt(2.25::DOUBLE - 2 * share)
+    WHEN 1 THEN sqrt(0.25::DOUBLE + 2 * share) - 0.5::DOUBLE
+    ELSE CASE WHEN share < 0.5 THEN (sqrt(0.25::DOUBLE + 4 * share) - 0.5::DOUBLE) / 2 ELSE 1 - (sqrt(0.25::DOUBLE + 4 * (1 - share)) - 0.5::DOUBLE) / 2 END END"""
 
 ORACLE = rf"""
 WITH rows AS (
@@ -183,6 +176,6 @@ WITH rows AS (
   SELECT *, passes * size + greatest(0, least(size, goal - passes * source_size - ahead)) AS taken FROM counted
 )
 SELECT doc_id, size, source_size, target, taken::BIGINT AS taken, passes::BIGINT AS passes,
-  CASE WHEN taken > 0 THEN round({_sql_position()}, 9) END AS position
+  CASE WHEN taken > 0 THEN round({_POSITION}, 9) END AS position
 FROM taken
 """
