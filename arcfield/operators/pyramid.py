@@ -13,7 +13,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from arcfield.functions.measure import chord2, chord_limit, half_width, unit_of
+from arcfield.functions.measure import chord2, half_width, unit_of
 from arcfield.operators.zones import exact_width, ra_windows
 
 

@@ -126,18 +126,17 @@ def c_containment(spark, sf_dir):
     """
     points = sky(spark, sf_dir, "sky_lineitem").select("obj_id", "x", "y", "z").cache()
     n, region = points.count(), regions_of(spark, sf_dir)[0]
-    size, rows, few = sum(map(len, region)), [], points.where(F.col("obj_id") % 16 == 0).cache()
-    n_few = few.count()
+    size, rows, twice = sum(map(len, region)), [], points.unionByName(points)
     for how in ("compiled", "packed", "exists"):
         began = time.time()
         R.points_in_region(points, region, how)._jdf.queryExecution().executedPlan()
         built, took = time.time() - began, []
-        for part in (few, points):
+        for part in (points, twice):
             seconds(R.points_in_region(part, region, how))
             took.append(min(seconds(R.points_in_region(part, region, how)) for _ in range(2)))
-        slope = max(0.0, (took[1] - took[0]) / max(1, n - n_few))
-        rows.append((how, n, size, len(region), took[1], n * size / took[1], n * len(region) / took[1], 1e6 * took[1] / n, 1000 * built, max(0.0, took[0] - slope * n_few), slope))
-    points.unpersist(), few.unpersist()
+        slope = max(0.0, (took[1] - took[0]) / max(1, n))
+        rows.append((how, n, size, len(region), took[0], n * size / took[0], n * len(region) / took[0], 1e6 * took[0] / n, 1000 * built, max(0.0, took[0] - slope * n), slope))
+    points.unpersist()
     fixed, slope = rows[0][9] + rows[0][8] / 1000, rows[0][10]
     out = []
     for r in rows:
@@ -184,14 +183,10 @@ def c_call_cost(spark, sf_dir):
         "mesh id, pickled": lambda d: d.select(mesh.mesh_id_row()("x", "y", "z")),
     }
     rows, n = [], df.count()
-    sizes = (n // 10, n)
     for name, call in calls.items():
-        parts = [df.limit(m).cache() for m in sizes]
-        for m, part in zip(sizes, parts):
-            part.count()
+        for m, part in ((n, df), (2 * n, df.unionByName(df))):
             seconds(call(part))
             rows.append((name, m, min(seconds(call(part)) for _ in range(2))))
-            part.unpersist()
     # a call of a table function, a + b R: by the rows that it returns
     for name, text in {"null, table": "null_rows({m})", "mesh cover, table": None}.items():
         for m in (1, 1000, 100_000):

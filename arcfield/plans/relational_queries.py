@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from arcfield.deploy import save, scratch
 from arcfield.functions import measure as M
 from arcfield.operators import neighbors as N, zones as Z
-from arcfield.plans.zone_queries import arc_sql, chord_sql, with_views
+from arcfield.plans.zone_queries import chord_sql, with_views, zone_store
 from arcfield.sources.catalog import FOOTPRINTS_SQL, footprints, sky, sky_vectors, table
 from arcfield.sources.stores import SCHEMAS, ZoneStore, read_specs, write_specs
 
@@ -471,3 +473,22 @@ def u_candidate_zones(spark, sf_dir):
 
     register(spark)
     return spark.sql("SELECT scale, count(*) AS zones, max(reach) AS reach FROM candidate_zones(20.0D, 1.12D, 0.64D, 10) GROUP BY scale")
+
+
+@query("o_filter_pushdown", f"{with_views('sky_orders')} SELECT obj_id, round(ra, 6) AS ra FROM sky_orders WHERE \"dec\" >= 5 AND \"dec\" < 20 AND ra BETWEEN 20 AND 60")
+def o_filter_pushdown(spark, sf_dir):
+    """Bounds on the zone store's columns, which reach its scan."""
+    rows = zone_store(spark, sf_dir).read(spark)
+    return rows.where(F.col("band").between(9, 10) & F.col("zone").between(95, 109) & F.col("ra").between(20.0, 60.0)).select("obj_id", F.round("ra", 6).alias("ra"))
+
+
+@query("u_grouped_map", f"{with_views('sky_supplier')} SELECT obj_id AS region_id, 1::BIGINT AS halfspaces, round(cos(radians(2.0)), 9) AS l FROM sky_supplier")
+def u_grouped_map(spark, sf_dir):
+    """Simplification as a grouped map: of two circles about one centre only the smaller constrains."""
+    from arcfield.operators.regions import simplify_rows
+
+    rows = None
+    for k, radius in enumerate((5.0, 2.0)):
+        part = sky(spark, sf_dir, "sky_supplier").select(F.col("obj_id").alias("region_id"), F.lit(0).alias("convex_id"), F.lit(k).alias("halfspace_id"), "x", "y", "z", F.lit(math.cos(math.radians(radius))).alias("l"))
+        rows = part if rows is None else rows.unionByName(part)
+    return simplify_rows(rows).groupBy("region_id").agg(F.count("*").alias("halfspaces"), F.round(F.min("l"), 9).alias("l"))

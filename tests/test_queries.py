@@ -1,6 +1,7 @@
 """Every registered query of the engine against its SQL on the smallest tables; the others by what must hold of them."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from arcfield.plans.queries import ORACLES, QUERIES
 from oracle import same
@@ -121,6 +122,20 @@ def areas(got):
     assert got[1].largest / got[1].mean < 1.42
 
 
+def test_approximate_counts_are_near(spark, sf):
+    exact = {r.event_type: r.n for r in spark.read.parquet(f"{sf}/events.parquet").groupBy("event_type").agg(F.countDistinct("user_id").alias("n")).collect()}
+    got = {r.event_type: r.users for r in rows(spark, sf, "o_agg_approx")}
+    assert got.keys() == exact.keys() and all(abs(got[k] - n) <= max(1, 0.05 * n) for k, n in exact.items())
+
+
+def test_stream_dedup_is_distinct(spark, sf):
+    from arcfield.operators.zones import home_cells
+    from arcfield.sources.catalog import sky
+
+    cells = home_cells(sky(spark, sf, "sky_events"), 30.0, 30.0).select("user_id", "zone", "cell")
+    assert sorted(map(tuple, rows(spark, sf, "s_dedup"))) == sorted(map(tuple, cells.distinct().collect()))
+
+
 @pytest.mark.parametrize("name", sorted(INVARIANTS))
 def test_measure(spark, sf, name):
     INVARIANTS[name](rows(spark, sf, name))
