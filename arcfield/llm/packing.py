@@ -31,7 +31,7 @@ WINDOW, QUANTUM, BLOCK = 2048, 64, 1 << 20
 #: Tokens of a document that are dealt together; blocks that may wait for a source that is due.
 CHUNK, WAIT = 1 << 13, 4
 #: Tasks whose tails are packed together, and windows a tail may have: at most TAILS * TAIL * WINDOW tokens.
-TAILS, TAIL = 16, 256
+TAILS, TAIL = 8, 256
 CUT = "doc_id long, source string, start long, length long, doc_tokens long, ids binary"
 CUT_COLUMNS = [c.split()[0] for c in CUT.split(", ")]
 PIECE = "doc_id long, source string, start long, length long, doc_tokens long, sequence_id long, offset long, part int, owed double, ids binary"
@@ -207,7 +207,7 @@ def pack(docs: DataFrame, tokenizer_path: str, *, eos: int = 1, window: int = WI
         shares = {r.source: float(r.n) for r in chunks.groupBy("source").agg(F.sum("length").alias("n")).collect()}
     dealt = chunks.withColumn("h", F.xxhash64("doc_id", "start", F.lit(11))).repartition(n, "h").sortWithinPartitions("h", "doc_id", "start").drop("h")
     made = save(dealt.mapInArrow(first, PIECE), "pieces")
-    tails = made.where("sequence_id is null").withColumn("tail", F.floor(F.col("part") / TAILS)).repartition(-(-n // TAILS), "tail")
+    tails = made.where("sequence_id is null").withColumn("tail", F.floor(F.col("part") / TAILS)).repartitionByRange(-(-n // TAILS), "tail")
     tails = tails.groupBy("tail").applyInArrow(second, PIECE)
     return made.where("sequence_id is not null").unionByName(tails).drop("part", "owed")
 
