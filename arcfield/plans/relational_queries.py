@@ -457,14 +457,14 @@ def u_agg_pandas(spark, sf_dir):
 
 @query("u_table", f"{with_views('sky_customer')} SELECT obj_id FROM sky_customer s WHERE {chord_sql(30.0, 20.0, 5.0)}")
 def u_table(spark, sf_dir):
-    """A cover by a table function under LATERAL, the exact test beside it."""
+    """A cover by a table function, LATERAL to its one area text rather than to the points, the exact test beside it."""
     from arcfield.functions.sqlfuncs import register
     from arcfield.operators.mesh import with_mesh
 
     register(spark)
     with_mesh(sky(spark, sf_dir, "sky_customer")).createOrReplaceTempView("mesh_customer")
     x, y, z = M.unit_of(30.0, 20.0)
-    return spark.sql(f"SELECT DISTINCT c.obj_id FROM mesh_customer c, LATERAL mesh_cover('CIRCLE J2000 30 20 300') r WHERE c.mesh_id BETWEEN r.lo AND r.hi AND power(c.x - {x!r}D, 2) + power(c.y - {y!r}D, 2) + power(c.z - {z!r}D, 2) < {M.chord_limit(5.0)!r}D")
+    return spark.sql(f"SELECT DISTINCT c.obj_id FROM (SELECT 'CIRCLE J2000 30 20 300' AS area) a, LATERAL mesh_cover(a.area) r, mesh_customer c WHERE c.mesh_id BETWEEN r.lo AND r.hi AND power(c.x - {x!r}D, 2) + power(c.y - {y!r}D, 2) + power(c.z - {z!r}D, 2) < {M.chord_limit(5.0)!r}D")
 
 
 @query("u_candidate_zones")
