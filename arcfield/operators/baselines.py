@@ -24,6 +24,21 @@ def brute_pairs(df: DataFrame, r: float) -> DataFrame:
     return a.join(b, (F.col("obj_id") < F.col("neighbor_id")) & (chord2(q) < chord_limit(r))).select("obj_id", "neighbor_id", arc_deg(q).alias("distance_deg"))
 
 
+def band_pairs(df: DataFrame, r: float) -> DataFrame:
+    """``brute_pairs`` without the pairs that declination alone rules out: a nested loop within bands, right ascension unused.
+
+    A row meets its own band of ``r`` degrees and the one above, so a pair is tested once.
+    """
+    band = F.floor((F.col("dec") + 90.0) / r).cast("int")
+    a = df.select(F.col("obj_id").alias("a_id"), F.col("dec").alias("a_dec"), *[F.col(k).alias(f"a{k}") for k in "xyz"], band.alias("own"))
+    a = a.withColumn("band", F.explode(F.array(F.col("own"), F.col("own") + 1)))
+    b = df.select(F.col("obj_id").alias("b_id"), "dec", "x", "y", "z", band.alias("band"))
+    near = (F.abs(F.col("dec") - F.col("a_dec")) <= r + 1e-9) & (chord2(("ax", "ay", "az")) < chord_limit(r))
+    once = (F.col("band") > F.col("own")) | (F.col("a_id") < F.col("b_id"))
+    found = a.join(b.hint("shuffle_hash"), "band").where(near & once)
+    return found.select(F.least("a_id", "b_id").alias("obj_id"), F.greatest("a_id", "b_id").alias("neighbor_id"), arc_deg(("ax", "ay", "az")).alias("distance_deg"))
+
+
 def nearby_plane(df: DataFrame, u: float, v: float, r: float) -> DataFrame:
     """The planar search: stripes of v, a window of u, the plain distance."""
     box = F.col("v").between(v - r, v + r) & F.col("u").between(u - r, u + r)
