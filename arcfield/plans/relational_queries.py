@@ -472,7 +472,8 @@ def u_candidate_zones(spark, sf_dir):
     from arcfield.functions.sqlfuncs import register
 
     register(spark)
-    return spark.sql("SELECT scale, count(*) AS zones, max(reach) AS reach FROM candidate_zones(20.0D, 1.12D, 0.64D, 10) GROUP BY scale")
+    sky(spark, sf_dir, "sky_supplier").createOrReplaceTempView("probe_supplier")
+    return spark.sql("SELECT c.scale, count(*) AS zones, max(c.reach) AS reach FROM probe_supplier p, LATERAL candidate_zones(p.dec, 1.12D, 0.64D, 10) c GROUP BY c.scale")
 
 
 @query("o_filter_pushdown", f"{with_views('sky_orders')} SELECT obj_id, round(ra, 6) AS ra FROM sky_orders WHERE \"dec\" >= 5 AND \"dec\" < 20 AND ra BETWEEN 20 AND 60")
